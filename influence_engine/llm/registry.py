@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, packing, sharding, token_counts
+from . import exact_dedup, language_id, mixing, packing, sharding, simhash, token_counts, token_output
 
 QUERIES = {
+    "op1_mix_sources": mixing.op1_mix_sources,
     "op2_token_counts": token_counts.op2_token_counts,
+    "op3_simhash": simhash.op3_simhash,
+    "op5_wavelet_output": token_output.op5_wavelet_output,
     "op7_jump_sharding": sharding.op7_jump_sharding,
     "op8_best_fit_packing": packing.op8_best_fit_packing,
+    "op9_language_id": language_id.op9_language_id,
     "op10_exact_dedup": exact_dedup.op10_exact_dedup,
 }
 
