@@ -312,7 +312,7 @@ def public_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-def runs_of(sizes: Iterable[int], most: int = 16 << 20) -> Iterable[tuple[int, int]]:
+def runs_of(sizes: Iterable[int], most: int = 4 << 20) -> Iterable[tuple[int, int]]:
     """Neighbouring items of about `most` in all, as (first, end)."""
     first = held = end = 0
     for end, size in enumerate(sizes, 1):
