@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ._runtime import documents
+from ._runtime import bounded_broadcast, documents
 
 #: Width of the hashed feature vector.
 WIDTH = 4096
@@ -130,8 +130,13 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
         F.col(id_col).isNotNull() & F.col(text_col).isNotNull() & F.col(lang_col).isNotNull() & ~held_out(id_col)
     )
     ids = labelled.select(F.col(id_col).cast("long").alias("fit_id"), F.col(lang_col).cast("string").alias("fit_lang"))
+    # a hash first cuts each language to about four times the wanted rows, so that ranking stays small
+    sizes = ids.groupBy(F.col("fit_lang").alias("size_lang")).agg(F.count(F.lit(1)).alias("n"))
+    small = bounded_broadcast(sizes)
+    place = F.pmod(F.xxhash64(F.lit(9), "fit_id"), F.lit(1 << 20)) / F.lit(float(1 << 20))
+    few = ids.join(small, F.col("fit_lang") == F.col("size_lang")).filter(place * F.col("n") < 4 * PER_LANGUAGE)
     nth = F.row_number().over(Window.partitionBy("fit_lang").orderBy(F.xxhash64("fit_id"), "fit_id"))
-    drawn = ids.withColumn("nth", nth).filter(F.col("nth") <= PER_LANGUAGE).orderBy("nth", "fit_lang").limit(SAMPLE)
+    drawn = few.select("fit_id", "fit_lang").withColumn("nth", nth).filter(F.col("nth") <= PER_LANGUAGE).orderBy("nth", "fit_lang").limit(SAMPLE)
     chosen = sorted({r["fit_id"] for r in drawn.select("fit_id").collect()})
     if not chosen:
         return None
