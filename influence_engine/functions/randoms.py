@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import Column
@@ -16,6 +17,7 @@ def gauss(key: str) -> float:
     return float(np.sqrt(-2.0 * np.log(u)) * np.cos(2.0 * np.pi * v))
 
 
+@lru_cache(maxsize=256)
 def gauss_matrix(seed: int, tag: str, rows: int, cols: int) -> np.ndarray:
     """Entry (i, j) is gauss("seed:tag:i:j") over the root of the rows, so products keep their scale."""
     out = np.array([[gauss(f"{seed}:{tag}:{i}:{j}") for j in range(cols)] for i in range(rows)])

@@ -302,8 +302,8 @@ def _stated_sql() -> str:
         st AS ({' UNION ALL '.join(parts)}),
         tp AS (SELECT * FROM (VALUES {patterns}) t(relation, pattern)),
         cc AS (SELECT example_id, replace(pattern, '%s', subject) || ' ' || object || '.' AS text, subject, relation, object FROM st JOIN tp USING (relation)
-               UNION ALL SELECT {13 * 10**10} + l_orderkey * 10 + l_linenumber, 'Order' || l_orderkey || ' shipped ' || p_name || ' from ' || s_name || '.',
-               'Order' || l_orderkey, 'shipment', s_name FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey)"""
+               UNION ALL SELECT {10**15} + ('0x' || substr(md5(text), 1, 12))::BIGINT, * FROM (SELECT DISTINCT 'Order' || l_orderkey || ' shipped ' || p_name || ' from ' || s_name || '.' AS text,
+               'Order' || l_orderkey AS subject, 'shipment' AS relation, s_name AS object FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey))"""
 
 
 def _facts_sql() -> str:
