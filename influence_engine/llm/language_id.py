@@ -126,10 +126,17 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     Documents are drawn by a hash of their id among those that are not held out; null ids,
     texts and labels are left out. None if nothing can be learned.
     """
-    labelled = docs.filter(
-        F.col(id_col).isNotNull() & F.col(text_col).isNotNull() & F.col(lang_col).isNotNull() & ~held_out(id_col)
+    labelled = (
+        docs.select(
+            F.col(id_col).cast("long").alias("i"),
+            F.col(lang_col).cast("string").alias("lang"),
+            F.col(text_col).cast("string").alias("t"),
+            held_out(id_col).alias("held"),
+        )
+        .filter("i IS NOT NULL AND t IS NOT NULL AND lang IS NOT NULL AND NOT held")
+        .drop("held")
     )
-    ids = labelled.select(F.col(id_col).cast("long").alias("fit_id"), F.col(lang_col).cast("string").alias("fit_lang"))
+    ids = labelled.select(F.col("i").alias("fit_id"), F.col("lang").alias("fit_lang"))
     # a hash first cuts each language to about four times the wanted rows, so that ranking stays small
     sizes = ids.groupBy(F.col("fit_lang").alias("size_lang")).agg(F.count(F.lit(1)).alias("n"))
     small = bounded_broadcast(sizes)
@@ -150,9 +157,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
             )
 
     own = docs.sparkSession.createDataFrame([(i,) for i in chosen], "fit_id long")
-    texts = labelled.join(F.broadcast(own), F.col(id_col) == F.col("fit_id"), "left_semi").select(
-        F.col(id_col).cast("long").alias("i"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("t")
-    )
+    texts = labelled.join(F.broadcast(own), F.col("i") == F.col("fit_id"), "left_semi")
     got = sorted((r["i"], r["lang"], bytes(r["x"])) for r in texts.mapInArrow(measure, "i long, lang string, x binary").collect())
     if not got:
         return None
