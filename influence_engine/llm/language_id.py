@@ -7,6 +7,7 @@ from collections.abc import Iterator
 from itertools import combinations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -209,12 +210,12 @@ def keep_identified(docs: DataFrame) -> DataFrame:
     """Documents whose language can be told, with all their columns."""
     predict = _predictor(docs, "doc_id", "text", "lang")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            texts = b.column(b.schema.get_field_index("text")).to_pylist()
-            yield b.filter(pa.array([n != UNDETERMINED for n in predict(texts)[0]], pa.bool_()))
+    @F.pandas_udf("boolean")
+    def identified(texts: pd.Series) -> pd.Series:
+        return pd.Series([n != UNDETERMINED for n in predict(texts.tolist())[0]])
 
-    return docs.mapInArrow(run, docs.schema)
+    # texts go to Python one way; rows stay in the JVM
+    return docs.filter(identified(F.col("text").cast("string")))
 
 
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
