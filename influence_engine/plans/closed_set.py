@@ -101,6 +101,16 @@ def small_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.mrr_recall(ranked, c.verdicts(), c.queries, by=["preset"])
 
 
+def rerank_bm25(spark: SparkSession, sf_dir: str, shortlist: int = 50) -> DataFrame:
+    """Gradient cosine over a lexical shortlist only, against scoring everything."""
+    c = prepare(spark, sf_dir)
+    index, queries = c.study().indexes(True)
+    short = lexical.bm25(c.corpus, fx.queries(c.facts), shortlist).select("query_id", ID)
+    ranked = scoring.top_k(scoring.score_pairs(short, index, queries), 10).withColumn("preset", F.lit("rerank_bm25"))
+    everything = c.study().run("gradient_cosine").withColumn("preset", F.lit("gradient_cosine"))
+    return measures.mrr_recall(ranked.unionByName(everything), c.verdicts(), c.queries, by=["preset"])
+
+
 def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Corrections switched on one by one, with and without unit norm."""
     names = [*MAIN[:-1], "gradient_dot", "x_no_norm_train", "x_no_norm_moment_train", "x_no_norm_mixed"]
@@ -272,7 +282,7 @@ def examples(spark: SparkSession, sf_dir: str, n: int = 5, chars: int = 80) -> D
 QUERIES = {
     f.__name__: f
     for f in (
-        lm_gradients_index, lm_mixed_cosine_top10, lm_tail_patch, lm_tail_patch_by_k, closed_set, small_pool, ablation, dimension_sweep, training_curve,
+        lm_gradients_index, lm_mixed_cosine_top10, lm_tail_patch, lm_tail_patch_by_k, closed_set, small_pool, rerank_bm25, ablation, dimension_sweep, training_curve,
         output_functions, lambda_sweep, gold_tail_patch, wrong_predictions, fact_accuracy, open_set, label_influence, examples,
     )
 }

@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 from ..models.probe import SoftmaxProbe, matrix
 from ..operators import curvature, gradients, scoring
 from ..operators.gradients import ID, IndexSpec
+from ..operators.measures import fidelity
 from ..operators.presets import PRESETS, Study
-from ..operators.projection import Identity, OneSided, TwoSided
+from ..operators.projection import Identity, OneSided, QueryBasis, TwoSided
 from ..sources import catalog
 
 SCALE, EPS, DAMPING, LAM, SEED = 8.0, 1e-8, 1e-6, 0.9, 7
@@ -389,6 +390,66 @@ def probe_tail_patch_by_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tail_patch_by_k(_patch_pairs(spark, sf_dir)).withColumn("tail_patch", F.round("tail_patch", 6))
 
 
+def probe_leave_one_out(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact change of each query's loss when a candidate is left out of its class mean; ten largest.
+
+    A brute-force check of influence that only a closed-form model affords.
+    """
+    candidates = _candidates(spark, sf_dir)
+    probe = _probe(candidates)
+    asked = _queries(candidates).toArrow()
+    q_id, qy = np.array(asked[ID].to_pylist()), np.array(asked["label"].to_pylist())
+    qx = np.array(asked["embedding"].to_pylist(), dtype=np.float64)
+    sizes = np.zeros(len(probe.weights))
+    for r in candidates.groupBy("label").count().collect():
+        sizes[r["label"]] = r["count"]
+    shared = spark.sparkContext.broadcast((probe, q_id, qx, qy, sizes))
+
+    def run(batches):
+        pr, ids, x, y, n = shared.value
+        at = np.arange(len(ids))
+        base = pr.scale * x @ pr.weights.T
+        before = np.log(np.exp(base - base.max(axis=1, keepdims=True)).sum(axis=1)) + base.max(axis=1) - base[at, y]
+        for b in batches:
+            if b.num_rows:
+                m, c = matrix(b.column("embedding")), b.column("label").to_numpy()
+                out = []
+                for v, label in zip(m, c):
+                    z = base.copy()
+                    z[:, label] = (n[label] * base[:, label] - pr.scale * x @ v) / (n[label] - 1)
+                    top = z.max(axis=1)
+                    out.append(np.log(np.exp(z - top[:, None]).sum(axis=1)) + top - z[at, y] - before)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(np.tile(ids, len(m))), pa.array(np.repeat(b.column(0).to_numpy(), len(ids))), pa.array(np.round(np.concatenate(out), 8))],
+                    names=["query_id", ID, "score"],
+                )
+
+    return _rounded(scoring.top_k(candidates.mapInArrow(run, f"query_id long, {ID} long, score double"), TOP))
+
+
+def index_footprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return gradients.footprint(_index(spark, sf_dir), K_OUT * K_IN)
+
+
+def projection_fidelity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Correlation of projected with exact cosines, by kind of projection."""
+    candidates = _candidates(spark, sf_dir)
+    probe = _probe(candidates)
+    own = gradients.diagonal_moment(candidates, probe)
+    first = _queries(candidates).toArrow().combine_chunks().to_batches()[0]
+    basis = QueryBasis({"w": gradients.correct(probe.gradients(first)["w"], own["w"], EPS)}, 16)
+    projections = {"exact": Identity(), "two_sided_16": TwoSided(SEED, 4, 4), "two_sided_64": TwoSided(SEED, 8, 8), "one_sided_16": OneSided(SEED, 16), "query_basis_16": basis}
+    scores = {}
+    for name, p in projections.items():
+        index = gradients.build_index(candidates, probe, _spec(p, moment=own))
+        scores[name] = scoring.all_scores(index, index.filter(F.col(ID) < N_QUERIES), unit_norm=True)
+    out = None
+    for name in list(projections)[1:]:
+        part = fidelity(scores[name], scores["exact"]).withColumn("projection", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 _PATCH_SQL = (
     _ranking_sql("gradient_dot").replace("SELECT query_id, rank::INT", ", top AS (SELECT query_id, rank::INT", 1)
     + f"""),
@@ -474,6 +535,9 @@ QUERIES = {
     "score_over_checkpoints": score_over_checkpoints,
     "score_layer_subset": score_layer_subset,
     "lambda_choice_diag": lambda_choice_diag,
+    "probe_leave_one_out": probe_leave_one_out,
+    "index_footprint": index_footprint,
+    "projection_fidelity": projection_fidelity,
     "probe_tail_patch": probe_tail_patch,
     "probe_tail_patch_by_k": probe_tail_patch_by_k,
 }
@@ -532,6 +596,14 @@ ORACLE_SQL = {
     "lambda_choice_diag": _chain()
     + _curvature_sql("mixed", 1)
     + " SELECT round(t / (t + e), 6) AS lam FROM (SELECT re.r AS e, rt.r AS t FROM re JOIN rt USING (s, i, j) ORDER BY e DESC LIMIT 1 OFFSET 1)",
+    "index_footprint": f"SELECT count(*) AS n_examples, {K_OUT * K_IN}::BIGINT AS dim, (count(*) * {K_OUT * K_IN * 4})::BIGINT AS index_bytes FROM embeddings",
+    "probe_leave_one_out": _chain()
+    + f""", nc AS (SELECT label AS c, count(*) AS n FROM e GROUP BY 1),
+        qd AS (SELECT q.vec_id AS query_id, m.vec_id AS example_id, m.label AS mc, sum(q.x * m.x) AS d FROM x q JOIN x m USING (j) WHERE q.vec_id < {N_QUERIES} GROUP BY 1, 2, 3),
+        lz AS (SELECT query_id, example_id, z.c, (z.label = z.c)::INT AS hit, z.z AS z0, CASE WHEN z.c = mc THEN (n * z.z - {SCALE} * d) / (n - 1) ELSE z.z END AS z
+               FROM qd JOIN z ON z.vec_id = query_id JOIN nc ON nc.c = mc),
+        sc AS (SELECT query_id, example_id, round(ln(sum(exp(z))) - sum(z * hit) - ln(sum(exp(z0))) + sum(z0 * hit), 8) AS score FROM lz GROUP BY 1, 2)"""
+    + _top_sql(),
     "probe_tail_patch": _PATCH_SQL + " SELECT query_id, rank, example_id, round(delta, 6) AS delta FROM dl",
     "probe_tail_patch_by_k": _PATCH_SQL
     + """, run AS (SELECT query_id, rank, avg(delta) OVER (PARTITION BY query_id ORDER BY rank) AS v FROM dl)

@@ -241,3 +241,14 @@ def test_entry_survives_without_the_training_data_folders():
             for node in ast.walk(ast.parse(path.read_text())):
                 if isinstance(node, ast.ImportFrom):
                     assert "llm" not in (node.module or "").split(".")
+
+
+def test_table_functions_and_aggregates(spark):
+    from influence_engine.functions import tables
+
+    tables.register(spark)
+    got = spark.sql("SELECT w.* FROM VALUES ('A. B. C. D') AS t(x), LATERAL sentence_windows(x, 3) AS w").collect()
+    assert [(r["start"], r["window"]) for r in got] == [(0, "A B C"), (1, "B C D")]
+    assert [r["token"] for r in spark.sql("SELECT p.token FROM VALUES ('Ab, c1') AS t(x), LATERAL token_positions(x) AS p").collect()] == ["ab", "c1"]
+    row = spark.sql("SELECT vec_sum(v) AS s, outer_sum(v) AS o FROM VALUES (array(1D, 2D)), (array(3D, 4D)) AS t(v)").first()
+    assert row["s"] == [4.0, 6.0] and row["o"] == [10.0, 14.0, 14.0, 20.0]
