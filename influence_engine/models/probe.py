@@ -11,11 +11,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-OUTPUTS = ("loss", "margin_token", "margin_example", "logit")
-
+from ..functions.arrow import to_matrix as matrix
 
-def matrix(column: pa.Array) -> np.ndarray:
-    return np.stack([np.asarray(v, dtype=np.float64) for v in column.to_pylist()]) if len(column) else np.empty((0, 0))
+OUTPUTS = ("loss", "margin_token", "margin_example", "logit")
 
 
 class SoftmaxProbe:

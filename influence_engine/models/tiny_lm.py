@@ -155,7 +155,9 @@ class TinyLM:
                 left, right = spec.projection.factors(k, *self.layers[k])
                 a, b = error @ left.T, inputs @ right.T
                 g = np.zeros((batch.num_rows, a.shape[1] * b.shape[1]))
-                np.add.at(g, owner, (a[:, :, None] * b[:, None, :]).reshape(len(a), -1))
+                if len(owner):
+                    firsts = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
+                    g[owner[firsts]] = np.add.reduceat((a[:, :, None] * b[:, None, :]).reshape(len(a), -1), firsts, axis=0)
                 parts.append(g)
             out[block] = np.concatenate(parts, axis=1)
         return out

@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.arrow import from_matrix, to_matrix
 from .gradients import ID
 
 _DDL = "block string, sub int, vals array<double>"
@@ -40,7 +41,7 @@ def autocorrelation(index: DataFrame, size: int, scale: str = "mean", sample: fl
             if b.num_rows:
                 n += b.num_rows
                 for name in names:
-                    g = np.array(b.column(name).to_pylist(), dtype=np.float64).reshape(b.num_rows, -1, size)
+                    g = to_matrix(b.column(b.schema.get_field_index(name))).reshape(b.num_rows, -1, size)
                     total[name] = total.get(name, 0) + np.einsum("nsi,nsj->sij", g, g)
         out = {"block": [], "sub": [], "n": [], "vals": []}
         for name, t in total.items():
@@ -151,8 +152,8 @@ def whiten(index: DataFrame, root: DataFrame) -> DataFrame:
                 cols = []
                 for name in names:
                     m = shared.value[name]
-                    g = np.array(b.column(name).to_pylist(), dtype=np.float64).reshape(b.num_rows, *m.shape[:2])
-                    cols.append(pa.array(list(np.einsum("sij,nsj->nsi", m, g).reshape(b.num_rows, -1)), pa.list_(pa.float64())))
+                    g = to_matrix(b.column(b.schema.get_field_index(name))).reshape(b.num_rows, *m.shape[:2])
+                    cols.append(from_matrix(np.einsum("sij,nsj->nsi", m, g).reshape(b.num_rows, -1)))
                 yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=[ID, *names])
 
     ddl = f"{ID} long" + "".join(f", {n} array<double>" for n in names)

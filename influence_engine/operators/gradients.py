@@ -15,6 +15,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.arrow import from_matrix
+
 ID = "example_id"
 
 
@@ -73,7 +75,7 @@ def build_index(examples: DataFrame, model, spec: IndexSpec) -> DataFrame:
         for b in batches:
             if b.num_rows:
                 found = project_batch(model, b, spec)
-                cols = [pa.array(list(found[x]), pa.list_(kind)) for x in names]
+                cols = [from_matrix(found[x], kind) for x in names]
                 extra = [b.column(b.schema.get_field_index(c)) for c in spec.extra]
                 yield pa.RecordBatch.from_arrays([b.column(0), *cols, *extra], names=[ID, *names, *spec.extra])
 

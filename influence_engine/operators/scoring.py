@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.arrow import to_matrix
 from .curvature import as_arrays, block_names
 from .gradients import ID
 
@@ -54,7 +55,7 @@ def score_top_k(
     folds = as_arrays(inverse) if inverse is not None else {}
     wanted = queries.select(ID, *names).toArrow()
     ids = np.array(wanted[ID].to_pylist(), dtype=np.int64)
-    parts = [np.array(wanted[n].to_pylist(), dtype=np.float64).reshape(len(ids), -1) for n in names]
+    parts = [to_matrix(wanted[n]) for n in names]
     width = sum(p.shape[1] for p in parts) or 1
     tile = max(1, tile_bytes // (8 * width))
     best = -1.0 if ascending else 1.0
@@ -70,18 +71,23 @@ def score_top_k(
             for b in batches:
                 if not b.num_rows or not len(q_ids):
                     continue
-                g = [np.array(b.column(n).to_pylist(), dtype=np.float64).reshape(b.num_rows, -1) for n in names]
+                g = [to_matrix(b.column(b.schema.get_field_index(n))) for n in names]
                 s = sign * sum(yy @ gg.T for yy, gg in zip(y, g))
                 if unit_norm:
                     m_norm = _norms(g, [_fold(gg, inv.get(n)) for gg, n in zip(g, names)])
                     scale = q_norm[:, None] * m_norm[None, :]
                     s = np.divide(s, scale, out=np.full_like(s, np.nan), where=scale > 0)
                 if factor:
-                    s = s * b.column(factor).to_numpy()[None, :]
+                    s = s * b.column(b.schema.get_field_index(factor)).to_numpy()[None, :]
                 s = np.round(s, SCORE_DIGITS)
                 kept_score = np.hstack([kept_score, s])
                 kept_id = np.hstack([kept_id, np.broadcast_to(b.column(0).to_numpy(), s.shape)])
                 key = np.where(np.isnan(kept_score), np.inf, -best * kept_score)
+                if key.shape[1] > 4 * k:
+                    # what lies beyond the k-th value of a row cannot be among its k best
+                    bound = np.partition(key, k - 1, axis=1)[:, k - 1 : k]
+                    near = (key <= bound).any(axis=0)
+                    kept_score, kept_id, key = kept_score[:, near], kept_id[:, near], key[:, near]
                 order = np.stack([np.lexsort((i, x))[:k] for i, x in zip(kept_id, key)])
                 kept_score = np.take_along_axis(kept_score, order, axis=1)
                 kept_id = np.take_along_axis(kept_id, order, axis=1)
