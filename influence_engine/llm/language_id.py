@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ._runtime import bounded_broadcast, documents
+from ._runtime import bounded_broadcast, documents, release_memory
 
 #: Width of the hashed feature vector.
 WIDTH = 4096
@@ -201,6 +201,7 @@ def _predictor(docs: DataFrame, id_col: str, text_col: str, lang_col: str):
             for i, name in zip(some, found):
                 names[i] = name
             scores[some] = score
+        release_memory()
         return names, scores
 
     return predict

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ._runtime import documents, materialise
+from ._runtime import documents, materialise, release_memory
 from .tokens import public_path, runs_of, word_encoder
 
 CAPACITY = 4096
@@ -80,6 +80,7 @@ def token_pieces(docs: DataFrame, model_path: str, capacity: int, end_id: int) -
             yield pa.RecordBatch.from_arrays(
                 [pa.array(c, k) for c, k in zip(out, types)], names=["doc_id", "piece", "start", "length", "ids_crc32"]
             )
+        release_memory()
 
     return docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),

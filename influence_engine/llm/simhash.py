@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import spans
-from ._runtime import bounded_broadcast, documents, materialise
+from ._runtime import bounded_broadcast, documents, materialise, release_memory
 from .components import connected_components
 from .exact_dedup import keep_rows
 from .tokens import runs_of
@@ -236,6 +236,7 @@ def near_duplicates(docs: DataFrame, bits: int = MAX_BITS, id_col: str = "doc_id
             parts = [fingerprints(texts[a:z]) for a, z in runs_of(map(len, texts), 4 << 20)]
             fps = np.concatenate(parts) if parts else np.empty(0, np.uint64)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+        release_memory()
 
     rows = docs.select(
         F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("t")

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import exchange, spans
-from ._runtime import documents, materialise
+from ._runtime import documents, materialise, release_memory
 
 WINDOW = 50
 SHORTEST = 13
@@ -193,6 +193,7 @@ def _open_blocks(window: int, length: int, owner_bits: int, key_bits: int, last:
                     seq, ids, texts, size = seq + 1, [], [], 0
         if ids:
             yield flush()
+        release_memory()
 
     return run
 

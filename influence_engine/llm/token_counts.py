@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._runtime import documents
+from ._runtime import documents, release_memory
 from .tokens import piece_counter, public_path, runs_of
 
 LIMIT = 4096
@@ -47,6 +47,7 @@ def token_counts(
                 ],
                 names=["doc_id", "n_bytes", "n_tokens", "over_limit", "fit_chars"],
             )
+        release_memory()
 
     rows = _text_rows(docs, id_col, text_col).withColumn("n_bytes", F.octet_length("t").cast("long"))
     return rows.mapInArrow(count, "doc_id long, n_bytes long, n_tokens long, over_limit boolean, fit_chars long")

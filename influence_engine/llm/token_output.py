@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import wavelet
-from ._runtime import documents, materialise, work_path
+from ._runtime import documents, materialise, release_memory, work_path
 from .tokens import public_path, runs_of, word_encoder
 
 END_ID = 2
@@ -73,6 +73,7 @@ def write_shards(docs: DataFrame, model_path: str, folder: str, end_id: int = EN
                             ids, own, held = [], [], 0
             if own:
                 n_bytes += flush()
+        release_memory()
         if n_docs:
             store.move(draft, name)
         else:
