@@ -26,11 +26,12 @@ def _small_star(links: DataFrame) -> DataFrame:
 def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """(node, root) for every node that has a link; root is the smallest node of its component.
 
-    Links (a, b) are 64-bit integers in any direction; loops and repeats are allowed. Each round
-    is written to the shared folder, so lineage stays short; rounds grow with the logarithm
-    of the longest chain.
+    Links (a, b) are 64-bit integers in any direction; loops and repeats are allowed. They are
+    written first: a round reads them twice, and links that depend on the order of rows may
+    come out differently each time. Each round is written to the shared folder, so lineage stays
+    short; rounds grow with the logarithm of the longest chain.
     """
-    state = materialise(_small_star(links), "links")
+    state = materialise(_small_star(materialise(links, "links")), "links")
     seen = None
     for _ in range(most_rounds):
         mark = state.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()

@@ -218,7 +218,8 @@ def near_pairs(distinct: DataFrame, bits: int = MAX_BITS, large_leaf: int = LARG
             "path", "fp", F.coalesce("is_large", F.lit(False)).alias("large")
         )
         routed = marked.mapInArrow(_overlap(bits), "path long, fp long")
-    return routed.repartition("path").sortWithinPartitions("path").mapInArrow(_link(bits), "a long, b long")
+    # ordered by fingerprint too, so that a task that runs again gives the same spanning links
+    return routed.repartition("path").sortWithinPartitions("path", "fp").mapInArrow(_link(bits), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, bits: int = MAX_BITS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -11,6 +11,7 @@ import xxhash
 from conftest_texts import texts_of
 
 from influence_engine.llm import (
+    components,
     exact_dedup,
     exchange,
     language_id,
@@ -227,6 +228,22 @@ def test_packing(docs, capacity):
     assert len(bins) <= 1.1 * -(-sum(w[3] for w in want) // capacity) + 1
 
 
+def test_components_of_links_that_differ_each_time_they_are_read(spark):
+    import os
+
+    import pyarrow as pa
+
+    def star(batches):
+        for b in batches:
+            for g in b.column("id").to_pylist():
+                nodes = np.random.default_rng(int.from_bytes(os.urandom(8), "little")).permutation(40) + 100 * g
+                yield pa.RecordBatch.from_arrays([pa.array(nodes[1:]), pa.array(np.repeat(nodes[0], 39))], names=["a", "b"])
+
+    links = spark.range(20).mapInArrow(star, "a long, b long")
+    got = {(r["node"], r["root"]) for r in components.connected_components(links).collect()}
+    assert got == {(100 * g + i, 100 * g) for g in range(20) for i in range(40)}
+
+
 def test_plan_equals_best_fit_over_items():
     rng = np.random.default_rng(2)
     for _ in range(30):
