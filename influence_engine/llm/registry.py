@@ -28,4 +28,4 @@ QUERIES = {
     "op10_exact_dedup": exact_dedup.op10_exact_dedup,
 }
 
-ORACLE_SQL = {**exact_dedup.ORACLE_SQL}
+ORACLE_SQL = {**exact_dedup.ORACLE_SQL, **substring_dedup.ORACLE_SQL, **sharding.ORACLE_SQL}

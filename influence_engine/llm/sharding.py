@@ -83,3 +83,32 @@ def assign_shards(docs: DataFrame, shards: int = SHARDS, id_col: str = "doc_id",
 
 def op7_jump_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign_shards(documents(spark, sf_dir))
+
+
+#: 3988292384 is the polynomial of the checksum, reversed; the state steps as in jump_shard.
+ORACLE_SQL = {
+    "op7_jump_sharding": r"""
+        WITH RECURSIVE crc_table AS (
+            SELECT list(v ORDER BY i) AS entries FROM (
+                SELECT i, list_reduce(range(8), lambda c, k: CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END, i) AS v
+                FROM range(256) AS t(i))
+        ), sized AS (
+            SELECT doc_id, octet_length(encode(coalesce(text, '')))::BIGINT + 1 AS size,
+                   xor(list_reduce(
+                       list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'), lambda h: ('0x' || h)::BIGINT),
+                       lambda c, b: xor(c >> 8, entries[(xor(c, b) & 255) + 1]), 4294967295), 4294967295)::BIGINT AS text_crc32
+            FROM documents, crc_table
+        ), hops AS (
+            SELECT doc_id, doc_id::UHUGEINT AS state, 0::BIGINT AS at, 0::BIGINT AS jump FROM documents
+            UNION ALL
+            SELECT doc_id, state, jump, floor((jump + 1) * (2147483648.0::DOUBLE / ((state >> 33) + 1)::DOUBLE))::BIGINT
+            FROM (SELECT doc_id, jump, (state * 2862933555777941757 + 1) % 18446744073709551616::UHUGEINT AS state FROM hops WHERE jump < 9)
+        ), homes AS (
+            SELECT doc_id, max(jump) FILTER (jump < 8)::INTEGER AS shard, max(jump) FILTER (jump < 9)::INTEGER AS grown_shard
+            FROM hops GROUP BY doc_id
+        )
+        SELECT doc_id, size, text_crc32, 'key' AS law, shard,
+               row_number() OVER (PARTITION BY shard ORDER BY doc_id) - 1 AS slot, grown_shard
+        FROM sized JOIN homes USING (doc_id)
+    """
+}

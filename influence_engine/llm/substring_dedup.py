@@ -263,3 +263,28 @@ def remove_repeats(
 
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(documents(spark, sf_dir))
+
+
+ORACLE_SQL = {
+    "op4_substring_dedup": r"""
+        WITH texts AS (
+            SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS words FROM documents
+        ), windows AS (
+            SELECT doc_id, unnest(range(1, len(words) - 48)) AS pos, words FROM texts WHERE len(words) >= 50
+        ), spelled AS (
+            SELECT doc_id, pos, sha256(array_to_string(list_slice(words, pos, pos + 49), ' ')) AS run FROM windows
+        ), late AS (
+            SELECT doc_id, pos FROM (SELECT doc_id, pos, min(doc_id) OVER (PARTITION BY run) AS least FROM spelled) WHERE least < doc_id
+        ), gone AS (
+            SELECT DISTINCT doc_id, pos + k AS pos FROM late, unnest(range(50)) AS t(k)
+        ), placed AS (
+            SELECT doc_id, unnest(words) AS word, unnest(range(1, len(words) + 1)) AS pos FROM texts
+        ), kept AS (
+            SELECT p.doc_id, count(*) AS n, string_agg(p.word, ' ' ORDER BY p.pos) AS rest
+            FROM placed p ANTI JOIN gone g ON p.doc_id = g.doc_id AND p.pos = g.pos GROUP BY p.doc_id
+        )
+        SELECT doc_id, len(words)::BIGINT AS n_words, (len(words) - coalesce(n, 0))::BIGINT AS n_removed,
+               sha256(coalesce(rest, '')) AS kept_sha256
+        FROM texts LEFT JOIN kept USING (doc_id)
+    """
+}
