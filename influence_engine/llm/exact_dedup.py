@@ -13,7 +13,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import exchange
@@ -153,30 +153,42 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
 def keep_distinct(docs: DataFrame) -> DataFrame:
     """The documents that exact_dedup keeps, with all their columns."""
-    verdicts = materialise(exact_dedup(docs).select("doc_id", "kept"), "op10-verdicts")
-    return keep_rows(docs, verdicts)
+    verdicts = exact_dedup(docs).select("doc_id", F.unhex("text_sha256").alias("mark"), "kept")
+    digest = F.unhex(F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256))
+    return keep_rows(docs, materialise(verdicts, "op10-verdicts"), digest)
 
 
-def keep_rows(docs: DataFrame, verdicts: DataFrame) -> DataFrame:
-    """Rows of docs that verdicts (doc_id, kept) keep; each kept verdict stands for one row.
+def keep_rows(docs: DataFrame, verdicts: DataFrame, mark: Column) -> DataFrame:
+    """Rows of docs that verdicts (doc_id, mark, kept) keep; `mark` gives a row's mark from its columns.
 
-    Dropped ids are anti-joined, so the texts move only if there are too many to broadcast.
-    Rows that repeat an id which is kept fewer times than it occurs are reduced to one.
+    Ids without a kept row are anti-joined, so the texts move only if there are too many to
+    broadcast. Where an id has kept and dropped rows, rows meet their verdict by id and mark;
+    only rows that repeat both, and are kept fewer times than they occur, are reduced to one.
     """
-    ids = verdicts.groupBy("doc_id").agg(
-        F.sum(F.col("kept").cast("long")).alias("n_kept"), F.count(F.lit(1)).alias("n")
-    )
-    partial = materialise(ids.filter("n_kept < n"), "keep-rows")
-    dropped = partial.filter("n_kept = 0").select(F.col("doc_id").alias("dropped_id"))
-    reduced = partial.filter("n_kept > 0").select(F.col("doc_id").alias("dropped_id"))
-    few = bounded_broadcast(dropped)
-    out = docs.join(few, docs["doc_id"].eqNullSafe(few["dropped_id"]), "left_anti")
-    if reduced.isEmpty():
+    n_kept, n = F.sum(F.col("kept").cast("long")).alias("n_kept"), F.count(F.lit(1)).alias("n")
+    partial = materialise(verdicts.groupBy("doc_id").agg(n_kept, n).filter("n_kept < n"), "keep-rows")
+    dropped = bounded_broadcast(partial.filter("n_kept = 0").select(F.col("doc_id").alias("dropped_id")))
+    out = docs.join(dropped, docs["doc_id"].eqNullSafe(dropped["dropped_id"]), "left_anti")
+    mixed = partial.filter("n_kept > 0").select(F.col("doc_id").alias("mixed_id"))
+    if mixed.isEmpty():
         return out
-    again = bounded_broadcast(reduced)
-    match = out["doc_id"].eqNullSafe(again["dropped_id"])
-    one = out.join(again, match, "left_semi").dropDuplicates(["doc_id"])
-    return out.join(again, match, "left_anti").unionByName(one)
+    mixed = bounded_broadcast(mixed)
+    judged = verdicts.join(mixed, verdicts["doc_id"].eqNullSafe(mixed["mixed_id"]), "left_semi")
+    cut = materialise(
+        judged.groupBy(F.col("doc_id").alias("cut_id"), F.col("mark").alias("cut_mark"))
+        .agg(n_kept, n)
+        .filter("n_kept < n")
+        .select("cut_id", "cut_mark", (F.col("n_kept") > 0).alias("cut_to_one")),
+        "keep-rows-cut",
+    )
+    of_mixed = out["doc_id"].eqNullSafe(mixed["mixed_id"])
+    marked = out.join(mixed, of_mixed, "left_semi").withColumn("own_mark", mark)
+    few = bounded_broadcast(cut)
+    met = marked.join(few, marked["doc_id"].eqNullSafe(few["cut_id"]) & (marked["own_mark"] == few["cut_mark"]), "left")
+    stay = out.join(mixed, of_mixed, "left_anti").unionByName(met.filter("cut_to_one IS NULL").select(*docs.columns))
+    if cut.filter("cut_to_one").isEmpty():
+        return stay
+    return stay.unionByName(met.filter("cut_to_one").dropDuplicates(["cut_id", "cut_mark"]).select(*docs.columns))
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

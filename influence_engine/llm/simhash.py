@@ -16,9 +16,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import spans
@@ -222,6 +223,20 @@ def near_pairs(distinct: DataFrame, bits: int = MAX_BITS, large_leaf: int = LARG
     return routed.repartition("path").sortWithinPartitions("path", "fp").mapInArrow(_link(bits), "a long, b long")
 
 
+def _bytes(text_col: str) -> Column:
+    return F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")
+
+
+def _in_runs(texts: list[bytes]) -> np.ndarray:
+    """Fingerprints as signed numbers, from runs of texts of a bounded size."""
+    parts = [fingerprints(texts[a:z]) for a, z in runs_of(map(len, texts), 4 << 20)]
+    return (np.concatenate(parts) if parts else np.empty(0, np.uint64)).view(np.int64)
+
+
+def _hexed(fp: Column | str) -> Column:
+    return F.lpad(F.lower(F.hex(fp)), 16, "0")
+
+
 def near_duplicates(docs: DataFrame, bits: int = MAX_BITS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Fingerprint and component of every document.
 
@@ -233,15 +248,11 @@ def near_duplicates(docs: DataFrame, bits: int = MAX_BITS, id_col: str = "doc_id
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = b.column("t").to_pylist()
-            parts = [fingerprints(texts[a:z]) for a, z in runs_of(map(len, texts), 4 << 20)]
-            fps = np.concatenate(parts) if parts else np.empty(0, np.uint64)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+            fps = _in_runs(b.column("t").to_pylist())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(fps)], names=["doc_id", "fp"])
         release_memory()
 
-    rows = docs.select(
-        F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("t")
-    )
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), _bytes(text_col).alias("t"))
     marked = materialise(rows.mapInArrow(measure, "doc_id long, fp long"), "op3-fingerprints")
     classes = materialise(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "op3-classes")
     roots = connected_components(near_pairs(classes, bits))
@@ -251,16 +262,22 @@ def near_duplicates(docs: DataFrame, bits: int = MAX_BITS, id_col: str = "doc_id
     rooted = materialise(rooted, "op3-roots")
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     members = materialise(rooted.join(named, "root").select("fp", "component_id"), "op3-members")
-    hexed = F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint")
-    return marked.join(bounded_broadcast(members), "fp").select("doc_id", hexed, "component_id")
+    return marked.join(bounded_broadcast(members), "fp").select("doc_id", _hexed("fp").alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """The document of each group that names it, with all its columns; null ids stay."""
-    found = near_duplicates(docs).select(
-        "doc_id", (F.col("doc_id").isNull() | (F.col("doc_id") == F.col("component_id"))).alias("kept")
-    )
-    return keep_rows(docs, materialise(found, "op3-verdicts"))
+    kept = F.col("doc_id").isNull() | (F.col("doc_id") == F.col("component_id"))
+    found = near_duplicates(docs).select("doc_id", F.col("fingerprint").alias("mark"), kept.alias("kept"))
+
+    @F.pandas_udf("long")
+    def measure(texts: pd.Series) -> pd.Series:
+        fps = pd.Series(_in_runs(texts.tolist()))
+        release_memory()
+        return fps
+
+    # only rows of ids with kept and dropped rows are measured again
+    return keep_rows(docs, materialise(found, "op3-verdicts"), _hexed(measure(_bytes("text"))))
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -76,6 +76,16 @@ def test_exact_dedup(docs):
     assert exact_dedup.keep_distinct(docs).count() == len(groups)
 
 
+def test_ids_with_kept_and_dropped_rows_lose_no_distinct_text(spark):
+    x, y, z = ("alpha beta gamma " * 5, "seven other words stand in this line", "and here are quite different ones again")
+    rows = [(7, x), (9, x), (7, y), (7, y), (None, x), (None, z), (None, "z z"), (None, "z z"), (None, None), (3, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = Counter(texts_of(exact_dedup.keep_distinct(docs)))
+    assert got == Counter([(9, x), (7, y), (None, z), (None, "z z"), (3, "")])
+    near = spark.createDataFrame([(3, x), (7, x), (7, y), (7, z), (8, z)], "doc_id long, text string")
+    assert Counter(texts_of(simhash.keep_one(near))) == Counter([(3, x), (7, y), (7, z)])
+
+
 def test_token_counts(docs):
     from sentencepiece import SentencePieceProcessor
 
