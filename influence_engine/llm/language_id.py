@@ -175,7 +175,7 @@ def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     Returns doc_id, held_out, lang_pred, score.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(id_col).alias("held_out"), F.col(text_col).cast("string").alias("t"))
-    predict = _predictor(docs, id_col, text_col, lang_col)
+    predict = _predictor(docs.sparkSession, fit(docs, id_col, text_col, lang_col))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -188,13 +188,16 @@ def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
-def _predictor(docs: DataFrame, id_col: str, text_col: str, lang_col: str):
-    model = fit(docs, id_col, text_col, lang_col)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+def _has_letter(text: str | None) -> bool:
+    return bool(text and _LETTER.search(text))
+
+
+def _predictor(spark: SparkSession, model: HierarchicalModel | None):
+    shared = spark.sparkContext.broadcast(model)
 
     def predict(texts: list[str | None]) -> tuple[list[str], np.ndarray]:
         names, scores = [UNDETERMINED] * len(texts), np.zeros(len(texts))
-        able = [i for i, t in enumerate(texts) if t and _LETTER.search(t)] if shared.value is not None else []
+        able = [i for i, t in enumerate(texts) if _has_letter(t)] if shared.value is not None else []
         for at in range(0, len(able), 256):
             some = able[at : at + 256]
             found, score = shared.value.predict(np.stack([features(texts[i]) for i in some]))
@@ -208,11 +211,17 @@ def _predictor(docs: DataFrame, id_col: str, text_col: str, lang_col: str):
 
 
 def keep_identified(docs: DataFrame) -> DataFrame:
-    """Documents whose language can be told, with all their columns."""
-    predict = _predictor(docs, "doc_id", "text", "lang")
+    """Documents whose language can be told, with all their columns.
+
+    Where no label could be learned, every text with a letter stays.
+    """
+    model = fit(docs)
+    predict, learned = _predictor(docs.sparkSession, model), model is not None
 
     @F.pandas_udf("boolean")
     def identified(texts: pd.Series) -> pd.Series:
+        if not learned:
+            return pd.Series([_has_letter(t) for t in texts.tolist()], dtype=bool)
         return pd.Series([n != UNDETERMINED for n in predict(texts.tolist())[0]])
 
     # texts go to Python one way; rows stay in the JVM

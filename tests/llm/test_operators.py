@@ -300,6 +300,15 @@ def test_language_id_of_odd_rows(odd_docs):
     assert language_id.keep_identified(odd_docs).columns == odd_docs.columns
 
 
+def test_texts_stay_where_no_language_can_be_learned(spark):
+    rows = [(1, "a text with letters", None), (2, "noch ein Text", None), (3, "12 345 !!", None), (4, "", None), (5, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert sorted(r["doc_id"] for r in language_id.keep_identified(docs).collect()) == [1, 2]
+    held = next(i for i in range(99) if zlib.crc32(str(i).encode()) % 3 == 1)
+    alone = spark.createDataFrame([(held, "only this text", "en")], "doc_id long, text string, lang string")
+    assert language_id.keep_identified(alone).count() == 1
+
+
 def fill(sizes):
     order = sorted(sizes, key=lambda s: (s is None, s or ""))
     weight = {s: (3, 1, 2)[i % 3] for i, s in enumerate(order)}
