@@ -22,6 +22,8 @@ from ..operators.projection import TwoSided
 
 CONTEXT, EMBED, PAD, UNKNOWN = 3, 16, 0, 1
 WIDTHS = {"s": 16, "m": 32, "l": 64}
+#: Tokens that are held against the whole vocabulary at once; sums over tokens are taken piece by piece.
+PIECE = 4096
 BLOCKS = {"w1": ["w1"], "w2": ["w2"], "w3": ["w3"]}
 
 
@@ -32,14 +34,14 @@ def vocabulary(corpus: DataFrame, size: int = 1024) -> dict[str, int]:
     return {r["word"]: i + 2 for i, r in enumerate(top)}
 
 
-def encode(df: DataFrame, vocab: dict[str, int], prompt: str | None = None, text: str = "text", longest: int = 2048) -> DataFrame:
-    """Add `tokens` (at most `longest`) and `target_from`, the count of prompt words."""
+def encode(df: DataFrame, vocab: dict[str, int], prompt: str | None = None, text: str = "text") -> DataFrame:
+    """Add `tokens` (all words of the text) and `target_from`, the count of prompt words."""
     shared = df.sparkSession.sparkContext.broadcast(vocab)
 
     @F.pandas_udf("array<int>")
     def ids(words):
         table = shared.value
-        return words.map(lambda ws: [table.get(w, UNKNOWN) for w in ws][:longest])
+        return words.map(lambda ws: [table.get(w, UNKNOWN) for w in ws])
 
     start = F.size(tokenise(F.col(prompt))) if prompt else F.lit(0)
     return df.withColumn("tokens", ids(tokenise(F.col(text)))).withColumn("target_from", start.cast("int"))
@@ -93,12 +95,15 @@ class TinyLM:
 
         With a decay the moments move too, as in training; without, they stay.
         """
-        f, _ = self.factors(context, target)
         n = max(1, len(target))
-        grads = {k: e.T @ i / n for k, (e, i) in f.items()}
-        e1 = f["w1"][0] @ self.weights["w1"] / n
+        grads = {k: np.zeros(shape) for k, shape in self.layers.items()}
         emb = np.zeros_like(self.weights["emb"])
-        np.add.at(emb, context.ravel(), e1.reshape(-1, EMBED))
+        for some in pieces(len(target)):
+            f, _ = self.factors(context[some], target[some])
+            for k, (e, i) in f.items():
+                grads[k] += e.T @ i / n
+            e1 = f["w1"][0] @ self.weights["w1"] / n
+            np.add.at(emb, context[some].ravel(), e1.reshape(-1, EMBED))
         grads["emb"] = emb
         weights, moment = {}, {}
         for k, g in grads.items():
@@ -143,31 +148,38 @@ class TinyLM:
         """Fused path: both factors are corrected and projected before they meet."""
         assert isinstance(spec.projection, TwoSided)
         context, target, owner = self._targets(batch)
-        f, _ = self.factors(context, target, self._weight(spec.output, owner, batch.num_rows))
-        out = {}
-        for block, layers in spec.blocks.items():
-            parts = []
-            for k in layers:
+        weight = self._weight(spec.output, owner, batch.num_rows)
+        # a weight may depend on all tokens of an example, so it is settled before the pieces
+        scale = None if weight is None else weight(self._own(context, target))
+        sides = {k: spec.projection.factors(k, *self.layers[k]) for layers in spec.blocks.values() for k in layers}
+        sums = {k: np.zeros((batch.num_rows, len(left) * len(right))) for k, (left, right) in sides.items()}
+        for some in pieces(len(target)):
+            f, _ = self.factors(context[some], target[some], None if scale is None else lambda _, s=scale[some]: s)
+            own = owner[some]
+            firsts = np.flatnonzero(np.r_[True, own[1:] != own[:-1]])
+            for k, (left, right) in sides.items():
                 error, inputs = f[k]
                 if spec.moment is not None:
                     r, c = spec.moment[k]
                     error, inputs = error / np.sqrt(r + spec.eps), inputs * np.sqrt(r.mean()) / np.sqrt(c + spec.eps)
-                left, right = spec.projection.factors(k, *self.layers[k])
                 a, b = error @ left.T, inputs @ right.T
-                g = np.zeros((batch.num_rows, a.shape[1] * b.shape[1]))
-                if len(owner):
-                    firsts = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
-                    g[owner[firsts]] = np.add.reduceat((a[:, :, None] * b[:, None, :]).reshape(len(a), -1), firsts, axis=0)
-                parts.append(g)
-            out[block] = np.concatenate(parts, axis=1)
-        return out
+                sums[k][own[firsts]] += np.add.reduceat((a[:, :, None] * b[:, None, :]).reshape(len(a), -1), firsts, axis=0)
+        return {block: np.concatenate([sums[k] for k in layers], axis=1) for block, layers in spec.blocks.items()}
+
+    def _own(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
+        """Probability of each target token."""
+        own = np.zeros(len(target))
+        for some in pieces(len(target)):
+            t = target[some]
+            own[some] = self.forward(context[some])[3][np.arange(len(t)), t]
+        return own
 
     def log_probability(self, tokens: list[list[int]], target_from: list[int]) -> np.ndarray:
         """Log probability of each target sequence after its prompt."""
         context, target, owner = contexts(tokens, target_from)
         if not len(target):
             return np.zeros(len(tokens))
-        p = self.forward(context)[3][np.arange(len(target)), target]
+        p = self._own(context, target)
         return np.bincount(owner, np.log(np.maximum(p, 1e-300)), len(tokens))
 
     def complete(self, tokens: list[int], most: int = 3) -> list[int]:
@@ -179,6 +191,10 @@ class TinyLM:
         return out[len(tokens) :]
 
 
+def pieces(n: int) -> list[slice]:
+    return [slice(a, a + PIECE) for a in range(0, n, PIECE)]
+
+
 def contexts(tokens: list[list[int]], target_from: list[int]):
     """(contexts, targets, example numbers) of the tokens from target_from on."""
     sizes = [len(t) for t in tokens]

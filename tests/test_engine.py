@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from influence_engine.functions.randoms import gauss, gauss_column
 from influence_engine.functions.vectors import register
+from influence_engine.models import tiny_lm
 from influence_engine.models.probe import LogisticProbe, SoftmaxProbe
 from influence_engine.models.tiny_lm import BLOCKS, TinyLM, contexts
 from influence_engine.operators import curvature, gradients, judge, measures, relational, scoring
@@ -84,6 +85,24 @@ def test_fused_projection_equals_the_plain_one():
             assert np.allclose(fused[block], spec.projection.apply(layer, g))
 
 
+def test_long_texts_are_used_whole(spark, monkeypatch):
+    text = " ".join(f"w{i % 7}" for i in range(3000))
+    docs = spark.createDataFrame([(1, text)], f"{ID} long, text string")
+    assert len(tiny_lm.encode(docs, {f"w{i}": i + 2 for i in range(7)}).first()["tokens"]) == 3000
+    model = TinyLM.start(12, 5)
+    tokens = [[2 + i % 9 for i in range(23)], [], [5, 6], [3] * 9]
+    b = pa.RecordBatch.from_arrays([pa.array(tokens, pa.list_(pa.int32())), pa.array([0, 0, 1, 2], pa.int32())], names=model.columns)
+    step = model.step(*contexts(tokens, [0] * 4)[:2], 0.1, 0.9)
+    for piece in (4096, 4):
+        monkeypatch.setattr(tiny_lm, "PIECE", piece)
+        for output in ("loss", "margin_token", "margin_example"):
+            spec = IndexSpec(BLOCKS, TwoSided(4, 2, 3), output=output)
+            want = {k: spec.projection.apply(k, g) for k, g in model.gradients(b, output).items()}
+            assert all(np.allclose(v, want[k]) for k, v in model.projected(b, spec).items())
+    again = model.step(*contexts(tokens, [0] * 4)[:2], 0.1, 0.9)
+    assert all(np.allclose(again.weights[k], step.weights[k]) for k in step.weights)
+
+
 def test_two_sided_is_one_sided_with_the_product_of_factors():
     g = np.random.default_rng(1).normal(size=(3, 4, 5))
     p = TwoSided(2, 2, 3)
