@@ -9,6 +9,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.textops import tokenise
 from ..models import tiny_lm
 from ..operators import curvature, gradients, headroom, lexical, measures, scoring
 from ..operators import facts as fx
@@ -47,6 +48,11 @@ class Closed:
         queries = self.queries.withColumn(ID, F.col("query_id"))
         return Study(self.candidates, queries, model, spec, model.moment, lam, min(block_size, side * side), 1e-4, _keep)
 
+    def said(self) -> DataFrame:
+        """The model's answers, each as long as the longest object of the facts."""
+        most = self.facts.agg(F.max(F.size(tokenise(F.col("object"))))).first()[0] or 0
+        return tiny_lm.complete(self.queries, self.model, self.vocab, most)
+
     def verdicts(self) -> DataFrame:
         return fx.gold_verdicts(self.facts)
 
@@ -189,7 +195,7 @@ def gold_tail_patch(spark: SparkSession, sf_dir: str) -> DataFrame:
 def wrong_predictions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """For wrongly answered queries, with the model's own answer as target: do hits entail the answer?"""
     c = prepare(spark, sf_dir)
-    said = tiny_lm.complete(c.queries, c.model, c.vocab, 2)
+    said = c.said()
     aliased = c.facts.withColumn("aliases", F.array("object"))
     correct = measures.accuracy(said, aliased)
     own = correct.filter(~F.col("correct")).join(c.queries.select("query_id", "prompt"), "query_id")
@@ -219,7 +225,7 @@ def fact_accuracy(spark: SparkSession, sf_dir: str, sizes=("s", "m")) -> DataFra
     out = []
     for size in sizes:
         c = prepare(spark, sf_dir, size)
-        said = tiny_lm.complete(c.queries, c.model, c.vocab, 2)
+        said = c.said()
         right = measures.accuracy(said, c.facts.withColumn("aliases", F.array("object")))
         out.append(right.agg(F.avg(F.col("correct").cast("double")).alias("accuracy")).withColumn("size", F.lit(size)))
     return reduce(DataFrame.unionByName, out)
@@ -264,7 +270,7 @@ def label_influence(spark: SparkSession, sf_dir: str) -> DataFrame:
 def examples(spark: SparkSession, sf_dir: str, n: int = 5, chars: int = 80) -> DataFrame:
     """Listing of retrieved examples: prompt, prediction, whether right, rank, whether entailing, snippet."""
     c = prepare(spark, sf_dir)
-    said = tiny_lm.complete(c.queries, c.model, c.vocab, 2)
+    said = c.said()
     correct = measures.accuracy(said, c.facts.withColumn("aliases", F.array("object")))
     ranked = c.study().run("mixed_cosine").filter(F.col("rank") <= 3)
     hits = c.verdicts()

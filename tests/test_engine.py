@@ -103,6 +103,16 @@ def test_long_texts_are_used_whole(spark, monkeypatch):
     assert all(np.allclose(again.weights[k], step.weights[k]) for k in step.weights)
 
 
+def test_answers_run_to_the_longest_object(spark):
+    from influence_engine.plans.closed_set import Closed
+
+    vocab = {w: i + 2 for i, w in enumerate(["has", "priority", "4", "not", "specified"])}
+    facts = spark.createDataFrame([(1, "one"), (2, "4-NOT SPECIFIED")], "fact_id long, object string")
+    asked = spark.createDataFrame([(1, 1, "has priority", "has priority 4-NOT SPECIFIED")], "query_id long, fact_id long, prompt string, text string")
+    closed = Closed(facts, None, None, tiny_lm.encode(asked, vocab, "prompt"), vocab, [TinyLM.start(7, 5)])
+    assert len(closed.said().first()["prediction"].split()) == 3
+
+
 def test_two_sided_is_one_sided_with_the_product_of_factors():
     g = np.random.default_rng(1).normal(size=(3, 4, 5))
     p = TwoSided(2, 2, 3)
