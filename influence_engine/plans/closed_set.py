@@ -254,7 +254,7 @@ def open_set(spark: SparkSession, sf_dir: str, methods=("mixed_cosine", "gradien
 
 
 def label_influence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Which labelled documents move the quality and toxicity heads for the first 20 of them."""
+    """Which labelled documents move the quality and toxicity heads for those whose id is divisible by 100."""
     from ..models.probe import LogisticProbe
     from ..sources import catalog
 
@@ -263,7 +263,7 @@ def label_influence(spark: SparkSession, sf_dir: str) -> DataFrame:
     probe = LogisticProbe.fit(data)
     moment = gradients.diagonal_moment(data, probe)
     spec = IndexSpec({"quality": ["quality"], "toxic": ["toxic"]}, TwoSided(5, 1, 16), eps=1e-10)
-    queries = data.orderBy(ID).limit(20)
+    queries = data.filter(F.col(ID) % 100 == 0)
     return Study(data, queries, probe, spec, moment, 0.9, 4, 1e-4).run("mixed_cosine")
 
 

@@ -245,6 +245,18 @@ def test_logistic_probe_learns(spark):
     assert abs(probe.gradients(b)["quality"]).max() < 0.3
 
 
+def test_label_queries_are_no_id_prefix(spark, tmp_path):
+    from influence_engine.plans import closed_set
+
+    ids = [i for i in range(0, 2000, 20) if i != 100]
+    docs = [(i, f"good words {i} here" if i % 40 else f"bad noise {i}", "en", "a", 20) for i in ids]
+    spark.createDataFrame(docs, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(str(tmp_path / "documents.parquet"))
+    labels = [(i, int(i % 40 > 0), int(i % 60 == 0)) for i in ids]
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    got = {r["query_id"] for r in closed_set.label_influence(spark, str(tmp_path)).select("query_id").distinct().collect()}
+    assert got == {0, *range(200, 2000, 100)}
+
+
 def test_sql_functions(spark):
     register(spark)
     row = spark.sql("SELECT vec_dot(array(1D, 2D), array(3D, 4D)) AS d, vec_norm(array(3D, 4D)) AS n, vec_scale(array(1D), 2D) AS s").first()
