@@ -19,6 +19,23 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
+def lanes(raw: bytes) -> np.ndarray:
+    """The eight bytes from every place on as one number; what lies beyond the end is zero."""
+    return np.ndarray((len(raw) + 1,), dtype="<u8", buffer=raw + bytes(9), strides=(1,))
+
+
+def equal(a: np.ndarray, at_a: np.ndarray, b: np.ndarray, at_b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether spans of the same size hold the same bytes; `a` and `b` are lanes."""
+    out, live, at = np.ones(len(size), dtype=bool), np.flatnonzero(size > 0), 0
+    while len(live):
+        rest = size[live] - at
+        differ = ((a[at_a[live] + at] ^ b[at_b[live] + at]) & _MASK[np.minimum(rest, 8)]) != 0
+        out[live[differ]] = False
+        at += 8
+        live = live[(rest > 8) & ~differ]
+    return out
+
+
 def words(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
     """First and end byte of each run of bytes other than ASCII white space."""
     space = np.ones(len(raw) + 2, dtype=bool)
@@ -29,7 +46,7 @@ def words(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 def hashes(raw: bytes, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """64-bit hash of each span; it depends on the span's bytes alone."""
-    data = np.ndarray((len(raw) + 1,), dtype="<u8", buffer=raw + bytes(9), strides=(1,))
+    data = lanes(raw)
     size = ends - starts
     out = mix(size.astype(np.uint64))
     live, at = np.flatnonzero((size > 0) & (size <= _LONG)), 0

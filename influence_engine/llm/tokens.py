@@ -2,8 +2,8 @@
 
 Both models cut a text at places no token can cross. Many texts are cut at once, each
 distinct cut is encoded once by the library, and the results are joined, so the ids equal
-those of the whole text. Cuts are told apart by a 64-bit hash. Where the file does not
-prove that cuts are safe, whole texts are encoded.
+those of the whole text. Cuts are found by a 64-bit hash and compared byte by byte. Where
+the file does not prove that cuts are safe, whole texts are encoded.
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ import numpy as np
 from . import spans
 
 #: Cuts remembered in each worker; beyond, memory starts anew.
-REMEMBERED = 2_000_000
+REMEMBERED = 500_000
 #: Longer cuts (bytes) are encoded anew instead of remembered.
 LONGEST_REMEMBERED = 64
 #: Cuts that the library gets in one call.
@@ -66,47 +66,98 @@ class _Table:
             place[live] = (place[live] + 1) & self.mask
 
 
+class _Grown:
+    """An array that grows by doubling, with eight spare items behind."""
+
+    def __init__(self, kind: str):
+        self.room, self.n = np.zeros(1024, dtype=kind), 0
+
+    def add(self, values: np.ndarray) -> None:
+        need = self.n + len(values)
+        if need + 8 > len(self.room):
+            wide = np.zeros(2 * need + 8, dtype=self.room.dtype)
+            wide[: self.n] = self.room[: self.n]
+            self.room = wide
+        self.room[self.n : need] = values
+        self.n = need
+
+    @property
+    def held(self) -> np.ndarray:
+        return self.room[: self.n]
+
+
 class _Store:
-    """Encoded cuts: by hash, each one's ids in a flat array."""
+    """What has been learnt of cuts: for each one an array of numbers, all in a flat one.
+
+    Cuts are found by a 64-bit hash and then compared byte by byte, so cuts whose hashes are
+    equal are never taken for each other; the second one is learnt anew each time.
+    """
 
-    def __init__(self, learn: Callable[[list[bytes]], list[np.ndarray]], kind: str):
-        self.learn, self.kind = learn, kind
+    def __init__(self, learn: Callable[[list[bytes]], list[np.ndarray]], kind: str, hashes=spans.hashes):
+        self.learn, self.kind, self.hashes = learn, kind, hashes
         self.reset()
 
     def reset(self) -> None:
         self.table = _Table()
-        self.first = np.empty(0, dtype=np.int64)
-        self.size = np.empty(0, dtype=np.int64)
-        self.flat = np.empty(0, dtype=self.kind)
+        self.first, self.size, self.flat = _Grown("<i8"), _Grown("<i4"), _Grown(self.kind)
+        self.raw, self.raw_first, self.raw_size = _Grown("u1"), _Grown("<i8"), _Grown("u1")
+
+    def _same(self, raw: bytes, starts: np.ndarray, ends: np.ndarray, row: np.ndarray) -> np.ndarray:
+        """Rows whose cut has the bytes of the span; others become -1."""
+        hit = np.flatnonzero(row >= 0)
+        hit = hit[(ends - starts)[hit] == self.raw_size.held[row[hit]]]
+        own = np.ndarray((len(self.raw.room) - 7,), dtype="<u8", buffer=self.raw.room, strides=(1,))
+        same = hit[spans.equal(spans.lanes(raw), starts[hit], own, self.raw_first.held[row[hit]], (ends - starts)[hit])]
+        out = np.full(len(row), -1, dtype=row.dtype)
+        out[same] = row[same]
+        return out
 
     def look_up(self, raw: bytes, starts: np.ndarray, ends: np.ndarray):
-        """(flat ids, first and size of each span's ids in them)."""
+        """(flat numbers, first and size of each span's numbers in them)."""
         if self.table.used > REMEMBERED:
             self.reset()
-        keys = np.maximum(spans.hashes(raw, starts, ends), np.uint64(1))
-        row = self.table.find(keys)
+        keys = np.maximum(self.hashes(raw, starts, ends), np.uint64(1))
+        row = self._same(raw, starts, ends, self.table.find(keys))
         unseen = np.flatnonzero(row < 0)
         if not len(unseen):
-            return self.flat, self.first[row], self.size[row]
-        distinct, where, back = np.unique(keys[unseen], return_index=True, return_inverse=True)
-        new = unseen[where]
-        learnt = self.learn([raw[a:b] for a, b in zip(starts[new].tolist(), ends[new].tolist())])
-        size = np.fromiter(map(len, learnt), dtype=np.int64, count=len(learnt))
-        first = len(self.flat) + np.cumsum(size) - size
-        flat, firsts, sizes = np.concatenate([self.flat, *learnt]), np.r_[self.first, first], np.r_[self.size, size]
-        row[unseen] = len(self.first) + back
-        keep = (ends[new] - starts[new]) <= LONGEST_REMEMBERED
-        if keep.all():
-            self.table.add(distinct, np.arange(len(self.first), len(firsts), dtype=np.int32))
-            self.flat, self.first, self.size = flat, firsts, sizes
-        elif keep.any():
-            rows = np.arange(len(self.first), len(self.first) + int(keep.sum()), dtype=np.int32)
-            kept = [x for x, k in zip(learnt, keep) if k]
-            self.table.add(distinct[keep], rows)
-            own = np.cumsum(size[keep]) - size[keep] + len(self.flat)
-            self.flat = np.concatenate([self.flat, *kept])
-            self.first, self.size = np.r_[self.first, own], np.r_[self.size, size[keep]]
-        return flat, firsts[row], sizes[row]
+            return self.flat.held, self.first.held[row], self.size.held[row].astype(np.int64)
+        numbers: dict[bytes, int] = {}
+        own = [numbers.setdefault(raw[a:b], len(numbers)) for a, b in zip(starts[unseen].tolist(), ends[unseen].tolist())]
+        own = np.array(own, dtype=np.int64)
+        cuts, at = list(numbers), unseen[np.unique(own, return_index=True)[1]]
+        learnt = self.learn(cuts)
+        length = np.fromiter(map(len, cuts), dtype=np.int64, count=len(cuts))
+        short = np.flatnonzero(length <= LONGEST_REMEMBERED)
+        # of cuts with equal hashes one is remembered
+        short = short[np.unique(keys[at[short]], return_index=True)[1]]
+        short = short[self.table.find(keys[at[short]]) < 0]
+        where = np.full(len(cuts), -1, dtype=np.int64)
+        where[short] = self._remember(keys[at[short]], [cuts[i] for i in short], [learnt[i] for i in short])
+        row[unseen] = where[own]
+        out_first, out_size = self.first.held[row], self.size.held[row].astype(np.int64)
+        loose = np.flatnonzero(where < 0)
+        if not len(loose):
+            return self.flat.held, out_first, out_size
+        size = np.array([len(learnt[i]) for i in loose], dtype=np.int64)
+        firsts, sizes = np.zeros(len(cuts), dtype=np.int64), np.zeros(len(cuts), dtype=np.int64)
+        firsts[loose], sizes[loose] = self.flat.n + np.cumsum(size) - size, size
+        lost = where[own] < 0
+        out_first[unseen[lost]], out_size[unseen[lost]] = firsts[own[lost]], sizes[own[lost]]
+        return np.concatenate([self.flat.held, *(learnt[i] for i in loose)]), out_first, out_size
+
+    def _remember(self, keys: np.ndarray, cuts: list[bytes], learnt: list[np.ndarray]) -> np.ndarray:
+        rows = np.arange(self.first.n, self.first.n + len(cuts), dtype=np.int32)
+        if len(cuts):
+            self.table.add(keys, rows)
+            size = np.fromiter(map(len, learnt), dtype=np.int64, count=len(learnt))
+            length = np.fromiter(map(len, cuts), dtype=np.int64, count=len(cuts))
+            self.first.add(self.flat.n + np.cumsum(size) - size)
+            self.size.add(size)
+            self.flat.add(np.concatenate(learnt))
+            self.raw_first.add(self.raw.n + np.cumsum(length) - length)
+            self.raw_size.add(length)
+            self.raw.add(np.frombuffer(b"".join(cuts), np.uint8))
+        return rows
 
 
 class WordEncoder:
@@ -200,38 +251,129 @@ class WordEncoder:
         return [whole[i] if i in whole else ids[a:b] for i, (a, b) in enumerate(zip(edges, edges[1:]))]
 
 
+class PrefixTable:
+    """Token counts of every prefix of a string under byte-pair merges, in one pass.
+
+    The last token of a prefix is the one piece that ends it and that merges would leave beside
+    the last token of what comes before, so the count at a place is the count at the start of
+    that piece plus one. Pieces that end at a place are found along a tree of reversed pieces.
+    """
+
+    def __init__(self, pieces: dict[str, float]):
+        self.score = pieces
+        self.tree: dict = {}
+        for piece in pieces:
+            node = self.tree
+            for c in reversed(piece):
+                node = node.setdefault(c, {})
+            node[""] = piece
+        self.beside: dict[tuple[str, str], bool] = {}
+
+    def merged(self, text: str) -> list[str]:
+        """Merge neighbours, the best score first, then the leftmost."""
+        parts, score = list(text), self.score
+        while len(parts) > 1:
+            found = [(-score[a + b], i) for i, (a, b) in enumerate(zip(parts, parts[1:])) if a + b in score]
+            if not found:
+                break
+            i = min(found)[1]
+            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+        return parts
+
+    def stay(self, left: str, right: str) -> bool:
+        """Whether merges leave these two tokens beside each other; nothing on the left is allowed."""
+        if len(self.beside) > REMEMBERED:
+            self.beside.clear()
+        known = self.beside[left, right] = self.merged(left + right) == ([left, right] if left else [right])
+        return known
+
+    def counts(self, texts: list[str]) -> list[np.ndarray | None]:
+        """Of each text, tokens of text[:i] for i from 1; a character without a piece counts its bytes.
+
+        Texts are taken in sorted order, and each one goes on from where it leaves the one
+        before. None where a place has no last token.
+        """
+        out: list[np.ndarray | None] = [None] * len(texts)
+        tree, beside, score, stay = self.tree, self.beside, self.score, self.stay
+        prior, last, n = "", [""], [0]
+        for number in sorted(range(len(texts)), key=texts.__getitem__):
+            text, same = texts[number], 0
+            most = min(len(prior), len(text), len(last) - 1)
+            while same < most and prior[same] == text[same]:
+                same += 1
+            del last[same + 1 :], n[same + 1 :]
+            prior = text
+            for i in range(same, len(text)):
+                node, at = tree.get(text[i]), i
+                while node is not None:
+                    piece = node.get("")
+                    if piece is not None:
+                        left = last[at]
+                        known = beside.get((left, piece))
+                        if stay(left, piece) if known is None else known:
+                            last.append(piece)
+                            n.append(n[at] + 1)
+                            break
+                    at -= 1
+                    node = node.get(text[at]) if at >= 0 else None
+                else:
+                    if text[i] in score:
+                        break
+                    last.append(text[i])
+                    n.append(n[i] + len(text[i].encode()))
+            if len(n) > len(text):
+                out[number] = np.array(n[1:], dtype="<i4")
+        return out
+
+
 class PieceCounter:
     """Token counts of a sentencepiece BPE file at every prefix of a text.
 
     Prefix counts follow a recurrence over cuts: the count at a place inside a cut is the
-    count at the cut's start plus the count of the part of the cut before that place.
-    A cut is a line end with what follows it, or a run of spaces with what follows it; the
-    library puts a space before every text, so the first cut has one more than the text.
+    count at the cut's start plus the prefix count within the cut, which is kept for each
+    distinct cut. A cut is a line end with what follows it, or a run of spaces with what
+    follows it; the library puts a space before every text, so the first cut has one more
+    than the text. The last entry of each cut is held against the library's own count.
     """
 
     def __init__(self, path: str):
         from sentencepiece import SentencePieceProcessor
 
         self.model = SentencePieceProcessor(model_file=path)
-        pieces = [self.model.id_to_piece(i) for i in range(self.model.get_piece_size())]
+        n = self.model.get_piece_size()
+        pieces = [self.model.id_to_piece(i) for i in range(n)]
         probe = self.model.encode("a\nb  c", out_type=str)
-        self.longest = max(map(len, pieces))
+        plain = [i for i in range(n) if not (self.model.is_unknown(i) or self.model.is_control(i) or self.model.is_byte(i))]
         self.cuttable = (
             not any("▁" in p.lstrip("▁") or "\n" in p for p in pieces)
-            and not any(self.model.is_unused(i) for i in range(len(pieces)))
+            and not any(self.model.is_unused(i) for i in range(n))
+            and any(self.model.is_byte(i) for i in range(n))
             and "".join(probe).replace("<0x0A>", "\n") == "▁a\nb▁▁c"
         )
-        self.store = _Store(self._learn, "<i8")
+        self.prefixes = PrefixTable({pieces[i]: self.model.get_score(i) for i in plain})
+        self.store = _Store(self._learn, "<i4")
 
     def _learn(self, cuts: list[bytes]) -> list[np.ndarray]:
         # the library adds the first space itself, before a line end too, and none to nothing
-        keys = [c.decode() if c[:1] == b"\n" else c[1:].decode() for c in cuts]
+        texts = [c.decode() for c in cuts]
+        keys = [t if t[:1] == "\n" else t[1:] for t in texts]
         coded = self.model.encode(keys, num_threads=1)
-        counts = np.array([len(c) - (k[:1] == "\n") if k else 1 for k, c in zip(keys, coded)], dtype="<i8")
-        return list(counts.reshape(-1, 1))
+        out = []
+        tables = self.prefixes.counts([t.replace(" ", "▁") for t in texts])
+        for text, key, ids, counts in zip(texts, keys, coded, tables):
+            if counts is None or counts[-1] != (len(ids) - (key[:1] == "\n") if key else 1):
+                counts = np.array([self._part(text[:j]) for j in range(1, len(text) + 1)], dtype="<i4")
+            out.append(counts)
+        return out
 
-    def _counts(self, texts: list[str]):
-        """Over all texts: the joined bytes, each cut's start and tokens, each text's first cut."""
+    def _part(self, cut: str) -> int:
+        """Tokens of a cut by the library: only where the file has pieces that merges do not explain."""
+        if cut[0] == "\n":
+            return len(self.model.encode(cut)) - 1
+        return len(self.model.encode(cut[1:])) if len(cut) > 1 else 1
+
+    def _tables(self, texts: list[str]):
+        """Over all texts: flat prefix counts, each cut's first entry and characters, each text's first cut."""
         parts = [b" " + t.encode().replace("▁".encode(), b" ") if t else b"" for t in texts]
         raw = b"".join(parts)
         begins = np.cumsum(np.r_[0, np.fromiter(map(len, parts), np.int64, len(parts))])
@@ -242,57 +384,42 @@ class PieceCounter:
         opens[1:] &= ~(space[1:] & space[:-1])
         opens[begins[:-1][begins[:-1] < begins[1:]]] = True
         starts = np.flatnonzero(opens)
-        flat, first, _ = self.store.look_up(raw, starts, np.r_[starts[1:], len(raw)] if len(starts) else starts)
-        return raw, starts, flat[first], np.searchsorted(starts, begins)
+        flat, first, size = self.store.look_up(raw, starts, np.r_[starts[1:], len(raw)] if len(starts) else starts)
+        return flat, first, size, np.searchsorted(starts, begins)
 
     def count_many(self, texts: list[str], budget: int | None = None) -> list[tuple[int, int]]:
         """Tokens of each text, and the characters of its longest prefix within the budget."""
         if not self.cuttable:
-            return [self._plain(t, budget) for t in texts]
-        raw, starts, counts, edges = self._counts(texts)
-        upto = np.r_[0, np.cumsum(counts)]
+            tables = [self.every_prefix(t) for t in texts]
+            return [(int(t[-1]), len(t) - 1 if budget is None else int(np.flatnonzero(t <= budget)[-1])) for t in tables]
+        flat, first, size, edges = self._tables(texts)
+        upto = np.r_[0, np.cumsum(flat[first + size - 1], dtype=np.int64)]
+        chars = np.r_[0, np.cumsum(size)]
         totals = upto[edges[1:]] - upto[edges[:-1]]
         fits = [len(t) for t in texts]
         if budget is not None:
             for i in np.flatnonzero(totals > budget).tolist():
                 a, b = edges[i], edges[i + 1]
-                last = int(np.searchsorted(upto[a + 1 : b + 1] - upto[a], budget, side="right")) + a
-                end = starts[last + 1] if last + 1 < len(starts) else len(raw)
-                fits[i] = self._fit(
-                    raw[starts[a] : starts[last]].decode(), raw[starts[last] : end].decode(), budget - int(upto[last] - upto[a])
-                )
+                # whole cuts only add tokens, so beside those that fit only a part of the next one does
+                cut = int(np.searchsorted(upto[a + 1 : b + 1] - upto[a], budget, side="right")) + a
+                inside = np.flatnonzero(flat[first[cut] : first[cut] + size[cut]] <= budget - (upto[cut] - upto[a]))
+                part = int(inside[-1]) + 1 if len(inside) else 0
+                fits[i] = max(0, int(chars[cut] - chars[a]) + part - 1)
         return list(zip(totals.tolist(), fits))
 
-    def _plain(self, text: str, budget: int | None) -> tuple[int, int]:
-        total = len(self.model.encode(text))
-        if budget is None or total <= budget:
-            return total, len(text)
-        return total, int(np.flatnonzero(self.every_prefix(text) <= budget)[-1])
-
-    def _part(self, cut: str) -> int:
-        """Tokens of the first characters of a cut."""
-        if cut[0] == "\n":
-            return len(self.model.encode(cut)) - 1
-        return len(self.model.encode(cut[1:])) if len(cut) > 1 else 1
-
-    def _fit(self, done: str, cut: str, left: int) -> int:
-        """Whole cuts only add tokens, so beside the done ones only a part of the next cut fits."""
-        lead = 0 if done else 1
-        sizes = range(min(len(cut), max(1, left) * self.longest), lead, -1)
-        part = next((j for j in sizes if self._part(cut[:j]) <= left), lead)
-        return len(done) + part - 1
-
     def every_prefix(self, text: str) -> np.ndarray:
         """Exact tokens of text[:i] for every i from 0 to len(text)."""
         if not self.cuttable:
             return np.array([len(self.model.encode(text[:i])) for i in range(len(text) + 1)], dtype=np.int64)
-        raw, starts, counts, _ = self._counts([text])
-        out, base = [], 0
-        for a, b, n in zip(starts, [*starts[1:], len(raw)], counts.tolist()):
-            cut = raw[a:b].decode()
-            out += [base + self._part(cut[:j]) for j in range(1, len(cut))] + [base + n]
-            base += n
-        return np.array([0, *out[1:]], dtype=np.int64)
+        if not text:
+            return np.zeros(1, dtype=np.int64)
+        flat, first, size, _ = self._tables([text])
+        chars = np.r_[0, np.cumsum(size)]
+        inside = flat[np.repeat(first - chars[:-1], size) + np.arange(chars[-1])].astype(np.int64)
+        ends = flat[first + size - 1].astype(np.int64)
+        out = inside + np.repeat(np.cumsum(ends) - ends, size)
+        out[0] = 0
+        return out
 
 
 @lru_cache(maxsize=4)
@@ -312,7 +439,7 @@ def public_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-def runs_of(sizes: Iterable[int], most: int = 4 << 20) -> Iterable[tuple[int, int]]:
+def runs_of(sizes: Iterable[int], most: int = 1 << 20) -> Iterable[tuple[int, int]]:
     """Neighbouring items of about `most` in all, as (first, end)."""
     first = held = end = 0
     for end, size in enumerate(sizes, 1):
