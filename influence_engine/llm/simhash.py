@@ -1,14 +1,13 @@
 """SimHash near-duplicates: vantage-point trees over 64-bit fingerprints.
 
-A distance budget of k bits is shared out over k + 1 disjoint bit blocks, so a linked pair
-agrees in all bits of some block. There is one tree for each block, and distances within it
-are Hamming distances over the block's bits. At each node fingerprints part into rings by
-their distance to the node's vantage point; by the triangle bound, a search radius of 0 in
-the block visits a single ring, so every fingerprint has one leaf in each tree. Leaves are
-spread over tasks. A leaf too large for a task is parted once more by rings over all 64
-bits; there the radius is k, and fingerprints also enter the rings that their ball overlaps.
-Inside a leaf, a vantage-point tree over all bits prunes branches that lie farther apart
-than k.
+Fingerprints are parted by their Hamming distance to vantage points: at each node those within
+a threshold go below, the others above. A distance obeys the triangle bound, so a fingerprint
+whose search ball reaches over the threshold also enters the shard below, and every linked pair
+meets in some shard. To keep that overlap small a distance budget of k bits is shared out: of
+k // 2 + 1 disjoint bit blocks one holds at most k // blocks of a pair's differing bits, and
+there is one tree for each block. Shards that are still large are parted again, by all 64 bits
+and at the median distance, until none is. Within a shard a vantage-point tree finds the exact
+pairs and prunes branches that lie farther apart than k.
 """
 
 from __future__ import annotations
@@ -30,11 +29,13 @@ from .tokens import runs_of
 
 SHINGLE = 3
 MAX_BITS = 2
-DEPTH = 6
-#: Fingerprints in a leaf beyond which it is parted again.
-LARGE_LEAF = 200_000
+#: Fingerprints in a shard beyond which it is parted again.
+SHARD = 8_192
+#: Levels that one pass over the fingerprints parts at most.
+LEVELS_AT_ONCE = 32
 _TILE = 512
-_CHUNK = 1 << 18
+_CHUNK = 1 << 16
+_TURN = np.uint64(0x9E3779B97F4A7C15)
 
 
 def fingerprints(texts: list[bytes], shingle: int = SHINGLE) -> np.ndarray:
@@ -64,18 +65,25 @@ def fingerprints(texts: list[bytes], shingle: int = SHINGLE) -> np.ndarray:
     return np.packbits(set_bits, axis=1, bitorder="little").view("<u8").ravel()
 
 
+_ALL = np.uint64((1 << 64) - 1)
+
+
 def _blocks(parts: int) -> list[np.uint64]:
     cuts = np.linspace(0, 64, parts + 1).astype(int).tolist()
     return [np.uint64(((1 << (b - a)) - 1) << a) for a, b in zip(cuts, cuts[1:])]
 
 
-def leaves(fps: np.ndarray, block: np.uint64, tree: int, depth: int = DEPTH) -> np.ndarray:
-    """Leaf of each fingerprint: the rings passed, each node with a vantage point of its own."""
-    path = spans.mix(np.full(len(fps), tree + 1, dtype=np.uint64))
-    for _ in range(depth):
-        ring = np.bitwise_count((fps ^ spans.mix(path)) & block).astype(np.uint64)
-        path = spans.mix(path + (ring + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15))
-    return path
+def _ends(path: np.ndarray, above: np.ndarray) -> np.ndarray:
+    """Path of the shard below or above a node."""
+    return spans.mix(path + (above.astype(np.uint64) + np.uint64(1)) * _TURN)
+
+
+def part(path: np.ndarray, fps: np.ndarray, block: np.uint64, radius: int, threshold: np.ndarray | int) -> tuple[np.ndarray, np.ndarray]:
+    """One level: fingerprints in the shards below and above, those near the threshold in both."""
+    far = np.bitwise_count((fps ^ spans.mix(path)) & block).astype(np.int64)
+    below, above = far <= threshold + radius, far > threshold
+    paths = [_ends(path[below], np.zeros(int(below.sum()))), _ends(path[above], np.ones(int(above.sum())))]
+    return np.concatenate(paths), np.concatenate([fps[below], fps[above]])
 
 
 class Forest:
@@ -155,34 +163,38 @@ def _link_runs(paths: np.ndarray, fps: np.ndarray, bits: int) -> tuple[np.ndarra
     return fps[moved], fps[forest.label[moved]]
 
 
-def _route(bits: int):
+_ROUTED = "path long, fp long, far int"
+
+
+def _routed(path: np.ndarray, fps: np.ndarray) -> pa.RecordBatch:
+    """Shard, fingerprint, and its distance to the vantage point that would part the shard next."""
+    far = np.bitwise_count(fps ^ spans.mix(path)).astype(np.int32)
+    return pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(fps.view(np.int64)), pa.array(far)], names=["path", "fp", "far"])
+
+
+def _plant(bits: int, levels: int):
+    """Part fingerprints by the first levels of each block's tree, at half the block's width."""
+    blocks = _blocks(bits // 2 + 1)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps = b.column("fp").to_numpy().view(np.uint64)
-            for tree, block in enumerate(_blocks(bits + 1)):
-                path = leaves(fps, block, tree)
-                yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), b.column("fp")], names=["path", "fp"])
+            for tree, block in enumerate(blocks):
+                fps = b.column("fp").to_numpy().view(np.uint64)
+                path = spans.mix(np.full(len(fps), tree + 1, dtype=np.uint64))
+                for _ in range(levels):
+                    path, fps = part(path, fps, block, bits // len(blocks), int(np.bitwise_count(block)) // 2)
+                yield _routed(path, fps)
 
     return run
 
 
-def _overlap(bits: int):
-    """Part large leaves by rings over all bits; a ball overlaps rings up to `bits` away.
-
-    A pair meets in the lower one of its two rings, so the upper one enters the rings below.
-    """
+def _split(bits: int):
+    """Part shards by all bits, at the threshold of each."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            path = b.column("path").to_numpy().view(np.uint64)
-            fps = b.column("fp").to_numpy().view(np.uint64)
-            large = b.column("large").to_numpy(zero_copy_only=False)
-            ring = np.bitwise_count(fps ^ spans.mix(path)).astype(np.int64)
-            for below in range(bits + 1):
-                keep = large & (ring >= below) if below else np.ones(len(path), dtype=bool)
-                own = spans.mix(path + (ring - below + 1).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-                out = np.where(large, own, path)[keep]
-                yield pa.RecordBatch.from_arrays([pa.array(out.view(np.int64)), pa.array(fps[keep].view(np.int64))], names=["path", "fp"])
+            path, fps = (b.column(c).to_numpy().view(np.uint64) for c in ("path", "fp"))
+            yield _routed(*part(path, fps, _ALL, bits, b.column("threshold").to_numpy()))
 
     return run
 
@@ -208,19 +220,40 @@ def _link(bits: int):
     return run
 
 
-def near_pairs(distinct: DataFrame, bits: int = MAX_BITS, large_leaf: int = LARGE_LEAF) -> DataFrame:
-    """Links (a, b) that span every group of distinct fingerprints (fp) within the distance."""
-    routed = distinct.select("fp").mapInArrow(_route(bits), "path long, fp long")
-    if distinct.count() > large_leaf:
-        routed = materialise(routed, "op3-routed")
-        large = routed.groupBy("path").count().filter(F.col("count") > large_leaf).select("path", F.lit(True).alias("is_large"))
-        # at most rows / large_leaf leaves are large
-        marked = routed.join(bounded_broadcast(large), "path", "left").select(
-            "path", "fp", F.coalesce("is_large", F.lit(False)).alias("large")
+def shards(distinct: DataFrame, bits: int = MAX_BITS, most: int = SHARD) -> DataFrame:
+    """(path, fp): distinct fingerprints in shards of at most `most`, linked ones together in one at least.
+
+    The first pass takes as many levels as random fingerprints need; then every shard that is
+    too large is parted at its own median distance, pass by pass. A shard whose distances all
+    lie so close together that a search ball covers them cannot be parted and stays whole; it
+    holds few fingerprints, as they differ in few bits.
+    """
+    n, levels = distinct.count(), 0
+    while n * 0.63**levels > most and levels < LEVELS_AT_ONCE:
+        levels += 1
+    routed = materialise(distinct.select("fp").mapInArrow(_plant(bits, levels), _ROUTED), "op3-routed")
+    done = None
+    while True:
+        sizes = routed.groupBy("path").agg(
+            F.count(F.lit(1)).alias("n"), F.min("far").alias("least"), F.max("far").alias("most"), F.percentile_approx("far", 0.5).alias("median")
         )
-        routed = marked.mapInArrow(_overlap(bits), "path long, fp long")
+        large = sizes.filter((F.col("n") > most) & (F.col("most") - F.col("least") > 2 * bits + 1)).select(
+            "path", F.least("median", F.col("most") - bits - 1).alias("threshold")
+        )
+        large = materialise(large, "op3-large")
+        n_large = large.count()
+        few = bounded_broadcast(large, rows=n_large)
+        small = (routed.join(few, "path", "left_anti") if n_large else routed).select("path", "fp")
+        done = small if done is None else done.unionByName(small)
+        if not n_large:
+            return done
+        routed = materialise(routed.join(few, "path").mapInArrow(_split(bits), _ROUTED), "op3-routed")
+
+
+def near_pairs(distinct: DataFrame, bits: int = MAX_BITS, most: int = SHARD) -> DataFrame:
+    """Links (a, b) that span every group of distinct fingerprints (fp) within the distance."""
     # ordered by fingerprint too, so that a task that runs again gives the same spanning links
-    return routed.repartition("path").sortWithinPartitions("path", "fp").mapInArrow(_link(bits), "a long, b long")
+    return shards(distinct, bits, most).repartition("path").sortWithinPartitions("path", "fp").mapInArrow(_link(bits), "a long, b long")
 
 
 def _bytes(text_col: str) -> Column:
@@ -229,7 +262,7 @@ def _bytes(text_col: str) -> Column:
 
 def _in_runs(texts: list[bytes]) -> np.ndarray:
     """Fingerprints as signed numbers, from runs of texts of a bounded size."""
-    parts = [fingerprints(texts[a:z]) for a, z in runs_of(map(len, texts), 4 << 20)]
+    parts = [fingerprints(texts[a:z]) for a, z in runs_of(map(len, texts))]
     return (np.concatenate(parts) if parts else np.empty(0, np.uint64)).view(np.int64)
 
 
