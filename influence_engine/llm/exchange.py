@@ -77,16 +77,17 @@ def owner_bits_for(keys: int, per_owner: int = 1_000_000, least: int = 4) -> int
     return max(least, min(20, (max(1, keys) // per_owner).bit_length()))
 
 
-def answer(codes: list[bytes], mins: list[np.ndarray] | None = None) -> list[bytes]:
+def answer(codes: list[bytes], mins: list[np.ndarray] | None = None, rests: list[np.ndarray] | None = None) -> list[bytes]:
     """One bitmap for each packet: keys that another packet holds too or, with mins,
-    keys for which another packet knows a smaller value."""
+    keys for which another packet knows a smaller value. With rests, keys are equal only
+    where their further 64 bits are equal too."""
     parts = [rice_decode(c) for c in codes]
     sizes = [len(p) for p in parts]
     keys = np.concatenate(parts) if parts else np.empty(0, np.uint64)
-    order = np.argsort(keys, kind="stable")
-    ranked = keys[order]
+    rest = np.zeros(len(keys), np.uint64) if rests is None else np.concatenate(rests)
+    order = np.argsort(keys, kind="stable") if rests is None else np.lexsort((rest, keys))
     start = np.ones(len(keys), dtype=bool)
-    start[1:] = ranked[1:] != ranked[:-1]
+    start[1:] = (keys[order][1:] != keys[order][:-1]) | (rest[order][1:] != rest[order][:-1])
     firsts = np.flatnonzero(start)
     run = np.cumsum(start) - 1
     hit = np.zeros(len(keys), dtype=bool)

@@ -31,6 +31,8 @@ SHORTEST = 13
 BLOCK_BYTES = 4 << 20
 #: Bits of keys that only prune.
 PRUNE_BITS = 44
+#: Owners of keys, as a power of two, at least.
+LEAST_OWNER_BITS = 6
 _NO_ID = np.iinfo(np.int64).max
 
 _ROWS = pa.schema(
@@ -43,13 +45,14 @@ _ROWS = pa.schema(
         ("owner", pa.int32()),
         ("code", pa.binary()),
         ("mins", pa.binary()),
+        ("rests", pa.binary()),
         ("n_words", pa.int64()),
         ("n_removed", pa.int64()),
         ("kept_sha256", pa.string()),
     ]
 )
 _DDL = (
-    "kind string, part long, doc_id long, text binary, alive binary, owner int, code binary, mins binary, "
+    "kind string, part long, doc_id long, text binary, alive binary, owner int, code binary, mins binary, rests binary, "
     "n_words long, n_removed long, kept_sha256 string"
 )
 
@@ -100,16 +103,35 @@ class Block:
             n = max(0, len(w) - window + 1)
             self.alive.append(np.ones(n, dtype=bool) if bits is None else exchange.read_bits(bits, n))
 
-    def keys(self, length: int, key_bits: int) -> None:
+    def _digests(self, i: int) -> np.ndarray:
+        """128 bits of each candidate window's words, as two numbers."""
+        words = self.texts[i].split()
+        plain = b" ".join(words)
+        place = np.cumsum([0, *(len(w) + 1 for w in words)]).tolist()
+        first = np.flatnonzero(self.alive[i]).tolist()
+        raw = b"".join([hashlib.blake2b(plain[place[p] : place[p + self.window] - 1], digest_size=16).digest() for p in first])
+        return np.frombuffer(raw, ">u8").reshape(-1, 2).astype(np.uint64)
+
+    def keys(self, length: int, key_bits: int, last: bool) -> None:
         """Keys of the candidate windows at that length, with the documents that hold them."""
-        own, doc = [np.empty(0, np.uint64)], [np.empty(0, np.int64)]
+        own, doc = [np.empty((0, 2), np.uint64)], [np.empty(0, np.int64)]
         for i, (w, alive) in enumerate(zip(self.words, self.alive)):
             if alive.any():
-                key = _least(gram_hashes(w, length), self.window - length + 1)[alive] >> np.uint64(64 - key_bits)
+                if last:
+                    key = self._digests(i)
+                else:
+                    key = _least(gram_hashes(w, length), self.window - length + 1)[alive] >> np.uint64(64 - key_bits)
+                    key = np.stack([key, np.zeros_like(key)], axis=1)
                 own.append(key)
                 doc.append(np.full(len(key), _NO_ID if self.ids[i] is None else self.ids[i], dtype=np.int64))
-        self.key, self.doc = np.concatenate(own), np.concatenate(doc)
-        self.distinct, self.back = np.unique(self.key, return_inverse=True)
+        key, self.doc = np.concatenate(own), np.concatenate(doc)
+        order = np.lexsort((key[:, 1], key[:, 0])) if last else np.argsort(key[:, 0], kind="stable")
+        ranked = key[order]
+        new = np.ones(len(key), dtype=bool)
+        new[1:] = (ranked[1:] != ranked[:-1]).any(axis=1)
+        self.distinct, self.rest = ranked[new, 0], ranked[new, 1]
+        self.back = np.empty(len(key), dtype=np.int64)
+        self.back[order] = np.cumsum(new) - 1
         self.low = np.full(len(self.distinct), _NO_ID, dtype=np.int64)
         high = np.full(len(self.distinct), np.iinfo(np.int64).min, dtype=np.int64)
         np.minimum.at(self.low, self.back, self.doc)
@@ -124,6 +146,7 @@ class Block:
                 "owner": owner,
                 "code": exchange.rice_encode(self.distinct[a:b] - exchange.owner_base(owner, owner_bits, key_bits)),
                 "mins": self.low[a:b].tobytes() if last else None,
+                "rests": self.rest[a:b].tobytes() if last else None,
             }
             for owner, a, b in exchange.owner_slices(self.distinct, owner_bits, key_bits)
         ]
@@ -171,7 +194,7 @@ class Block:
                 out.append({"kind": "text", "part": part, "doc_id": self.ids[i], "text": self.texts[i], "alive": bits})
             else:
                 out.append(self.result(i, False))
-        self.keys(length, key_bits)
+        self.keys(length, key_bits, last)
         return out + self.packets(part, owner_bits, key_bits, last)
 
 
@@ -201,15 +224,16 @@ def _open_blocks(window: int, length: int, owner_bits: int, key_bits: int, last:
 def _own(last: bool):
     def run(packets: pd.DataFrame) -> pd.DataFrame:
         mins = [np.frombuffer(m, np.int64) for m in packets["mins"]] if last else None
+        rests = [np.frombuffer(m, np.uint64) for m in packets["rests"]] if last else None
         return pd.DataFrame(
-            {"part": packets["part"], "owner": packets["owner"], "bitmap": exchange.answer(list(packets["code"]), mins)}
+            {"part": packets["part"], "owner": packets["owner"], "bitmap": exchange.answer(list(packets["code"]), mins, rests)}
         )
 
     return run
 
 
 def _bitmaps(table: DataFrame, last: bool) -> DataFrame:
-    packets = table.filter("kind = 'packet'").select("part", "owner", "code", *(["mins"] if last else []))
+    packets = table.filter("kind = 'packet'").select("part", "owner", "code", *(["mins", "rests"] if last else []))
     return packets.groupBy("owner").applyInPandas(_own(last), "part long, owner int, bitmap binary")
 
 
@@ -219,7 +243,7 @@ def _advance(window: int, now: tuple, then: tuple | None):
     def run(texts: pa.Table, bitmaps: pa.Table) -> pa.Table:
         part = texts["part"][0].as_py() if texts.num_rows else -1
         block = Block(texts["doc_id"].to_pylist(), texts["text"].to_pylist(), texts["alive"].to_pylist(), window)
-        block.keys(now[0], now[2])
+        block.keys(now[0], now[2], now[3])
         answers = dict(zip(bitmaps["owner"].to_pylist(), bitmaps["bitmap"].to_pylist()))
         block.answered(answers, *now[1:])
         rows = [block.result(i, True) for i in range(len(block.ids))] if then is None else block.rows(part, *then)
@@ -229,23 +253,28 @@ def _advance(window: int, now: tuple, then: tuple | None):
 
 
 def remove_repeats(
-    docs: DataFrame, window: int = WINDOW, shortest: int = SHORTEST, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame,
+    window: int = WINDOW,
+    shortest: int = SHORTEST,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    prune_bits: int = PRUNE_BITS,
 ) -> DataFrame:
     """Remove every word that a window covers whose words also start in a document of smaller id.
 
     Windows are judged on the input. Null or empty text has no words. Texts shorter than the
     window keep all. Rows of equal id do not remove each other's words; a null id neither
-    removes nor loses words. An empty table gives no rows; other columns are ignored. Words and
-    windows are compared by 64-bit hashes.
+    removes nor loses words. An empty table gives no rows; other columns are ignored. Keys of
+    prune_bits only prune; what is removed is decided by 128-bit digests of the words.
     Returns doc_id, n_words, n_removed, kept_sha256.
     """
     rows = docs.select(
         F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("t")
     )
     size = rows.agg(F.sum(F.octet_length("t").cast("long"))).first()[0] or 0
-    owner_bits = exchange.owner_bits_for(size // 16)
+    owner_bits = exchange.owner_bits_for(size // 16, least=min(prune_bits, LEAST_OWNER_BITS))
     lengths = levels_for(window, shortest)
-    steps = [(n, owner_bits, 64 if n == window else PRUNE_BITS, n == window) for n in lengths]
+    steps = [(n, owner_bits, 64 if n == window else prune_bits, n == window) for n in lengths]
     table = materialise(rows.mapInArrow(_open_blocks(window, *steps[0]), _DDL), "op4-level0")
     done = table.filter("kind = 'done'")
     for at, now in enumerate(steps):
