@@ -15,7 +15,7 @@ from influence_engine.llm.tokens import public_path
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter go; all others stay."""
+    """Documents whose language cannot be told go; a null `lang` becomes the predicted language."""
     return language_id.keep_identified(docs)
 
 

@@ -40,11 +40,17 @@ FAMILIES = {
 }
 _FAMILY_OF = {code: family for family, codes in FAMILIES.items() for code in codes.split()}
 
-_LETTER = re.compile(r"[^\W\d_]")
+#: Word characters that are no decimal digits: letters, and some numerals that are none.
+_NEARLY = re.compile(r"[^\W\d_]")
 _BLANK = np.arange(256, dtype=np.uint8)
 _BLANK[[i for i in range(128) if not chr(i).isalpha()]] = 32
 
 
+def _has_letter(text: str | None) -> bool:
+    """Whether a character of Unicode category L occurs."""
+    return text is not None and any(m.group().isalpha() for m in _NEARLY.finditer(text))
+
+
 def features(text: str) -> np.ndarray:
     """Square roots of hashed byte n-gram counts (1 to 3) of the whole text, at unit length."""
     raw = _BLANK[np.frombuffer((" " + text.lower() + " ").encode(), np.uint8)].astype(np.uint32)
@@ -151,7 +157,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [(i, lang, features(t)) for i, lang, t in zip(*(b.column(k).to_pylist() for k in ("i", "lang", "t"))) if _LETTER.search(t)]
+            rows = [(i, lang, features(t)) for i, lang, t in zip(*(b.column(k).to_pylist() for k in ("i", "lang", "t"))) if _has_letter(t)]
             yield pa.RecordBatch.from_pydict(
                 {"i": [r[0] for r in rows], "lang": [r[1] for r in rows], "x": [r[2].astype(np.float16).tobytes() for r in rows]},
                 schema=pa.schema([("i", pa.int64()), ("lang", pa.string()), ("x", pa.binary())]),
@@ -188,10 +194,6 @@ def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
-def _has_letter(text: str | None) -> bool:
-    return bool(text and _LETTER.search(text))
-
-
 def _predictor(spark: SparkSession, model: HierarchicalModel | None):
     shared = spark.sparkContext.broadcast(model)
 
@@ -211,21 +213,24 @@ def _predictor(spark: SparkSession, model: HierarchicalModel | None):
 
 
 def keep_identified(docs: DataFrame) -> DataFrame:
-    """Documents whose language can be told, with all their columns.
+    """Documents whose language can be told; where `lang` is null it becomes the prediction.
 
-    Where no label could be learned, every text with a letter stays.
+    Columns stay as they are. Where no label could be learned, every text with a letter stays
+    and `lang` is left alone.
     """
     model = fit(docs)
     predict, learned = _predictor(docs.sparkSession, model), model is not None
 
-    @F.pandas_udf("boolean")
-    def identified(texts: pd.Series) -> pd.Series:
+    @F.pandas_udf("string")
+    def told(texts: pd.Series) -> pd.Series:
         if not learned:
-            return pd.Series([_has_letter(t) for t in texts.tolist()], dtype=bool)
-        return pd.Series([n != UNDETERMINED for n in predict(texts.tolist())[0]])
+            return pd.Series(["" if _has_letter(t) else UNDETERMINED for t in texts.tolist()], dtype=object)
+        return pd.Series(predict(texts.tolist())[0], dtype=object)
 
-    # texts go to Python one way; rows stay in the JVM
-    return docs.filter(identified(F.col("text").cast("string")))
+    # texts go to Python one way, once; rows stay in the JVM
+    found = docs.select(*[F.col(f"`{c}`") for c in docs.columns], told.asNondeterministic()(F.col("text").cast("string")).alias("op9 told"))
+    lang = F.coalesce(F.col("lang"), F.nullif(F.col("op9 told"), F.lit(""))).alias("lang")
+    return found.filter(F.col("op9 told") != UNDETERMINED).select(*[lang if c == "lang" else F.col(f"`{c}`") for c in docs.columns])
 
 
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
