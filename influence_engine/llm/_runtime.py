@@ -7,6 +7,7 @@ import os
 import tempfile
 import uuid
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,9 +17,11 @@ BROADCAST_ROWS = 1_000_000
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder all executors share; a local one only where none is configured."""
+    """The folder all executors share; a local one only in local mode, where none is configured."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local") or "cluster" in spark.sparkContext.master:
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         root = "file://" + os.path.join(tempfile.gettempdir(), "influence_engine_work")
     return root.rstrip("/")
 
@@ -45,6 +48,13 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def to_matrix(column: pa.Array) -> np.ndarray:
+    """Rows of a list column, all of one length, as doubles."""
+    if not len(column):
+        return np.empty((0, 0))
+    return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(column), -1)
+
+
 def release_memory() -> None:
     """Give freed memory of this worker back to the machine; workers outlive their tasks."""
     pa.default_memory_pool().release_unused()
