@@ -5,7 +5,9 @@ whole part is taken at once. The fractional parts are rounded in pairs: words mo
 document to the other, in a direction drawn at random so that expectations stay, until one
 of the two has no fraction left. Words moved are words kept, so a source's sum does not
 change until its last document. Documents are paired within buckets; the one left over from
-each bucket meets those of other buckets, level by level, as a reduction tree.
+each bucket meets those of other buckets, level by level, as a reduction tree. Rows that repeat
+an id and a size in a source are one unit with a count: among themselves they round at once, and
+what is left of them is a single fraction, so no id can fill a bucket.
 """
 
 from __future__ import annotations
@@ -20,6 +22,8 @@ SHARE = 1.5
 CAP = 2.0
 #: Documents, or residuals of buckets, that one bucket pairs.
 FAN_IN = 128
+#: Equal rows that one row is repeated into at a time.
+RUN = 65_536
 _UNIT = "struct<size:bigint,doc_id:bigint,p:double>"
 _DONE = "array<struct<doc_id:bigint,size:bigint,extra:int>>"
 
@@ -33,28 +37,51 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, cap:
     """Targets of sources (source, source_size), by code point, null last.
 
     Weights repeat along that order. A target stops at cap times its source's size; the excess
-    goes to the others by weight: sources sorted by the level at which they fill are full while
-    that level stays within the level of all that come after them.
+    goes to the others by weight, round by round, until none is above; a round is one aggregate.
+    Sources are numbered in ranges, so no task holds them all.
     """
-    everything = Window.partitionBy(F.lit(0))
-    ordered = everything.orderBy(F.col("source").asc_nulls_last())
     cycle = F.array(*[F.lit(float(w)) for w in weights])
-    weighted = sizes.withColumn(
-        "weight", F.element_at(cycle, ((F.row_number().over(ordered) - 1) % len(weights) + 1).cast("int"))
-    ).withColumn("limit", F.col("source_size") * F.lit(float(cap)))
-    filling = everything.orderBy(F.col("limit") / F.col("weight"), F.col("source").asc_nulls_last())
-    before = filling.rowsBetween(Window.unboundedPreceding, -1)
-    rest = F.lit(float(share)) * F.sum("source_size").over(everything) - F.coalesce(F.sum("limit").over(before), F.lit(0.0))
-    open_weight = F.sum("weight").over(everything) - F.coalesce(F.sum("weight").over(before), F.lit(0.0))
-    levelled = weighted.withColumn("level", rest / open_weight).withColumn(
-        "full", F.col("limit") <= F.col("level") * F.col("weight")
-    )
-    final = F.min(F.when(~F.col("full"), F.struct(F.col("limit") / F.col("weight"), F.col("level")))).over(everything)
-    return levelled.withColumn("final", final).select(
-        "source",
-        "source_size",
-        F.when(F.col("full"), F.col("limit")).otherwise(F.col("final.level") * F.col("weight")).alias("target"),
+    weighted = materialise(
+        _numbered(sizes).select(
+            "source",
+            "source_size",
+            F.element_at(cycle, (F.col("nth") % len(weights) + 1).cast("int")).alias("weight"),
+            (F.col("source_size") * F.lit(float(cap))).alias("limit"),
+        ),
+        "op1-weights",
     )
+    total = float(share) * (weighted.agg(F.sum("source_size")).first()[0] or 0)
+    level, n_full = 0.0, -1
+    while True:
+        full = (F.col("limit") <= F.col("weight") * F.lit(level)) if n_full >= 0 else F.lit(False)
+        held, open_weight, n = weighted.agg(
+            F.coalesce(F.sum(F.when(full, F.col("limit"))), F.lit(0.0)), F.sum(F.when(~full, F.col("weight"))), F.count_if(full)
+        ).first()
+        if n == n_full or open_weight is None:
+            break
+        level, n_full = (total - held) / open_weight, n
+    target = F.least(F.col("limit"), F.col("weight") * F.lit(level)) if open_weight is not None else F.col("limit")
+    return weighted.select("source", "source_size", target.alias("target"))
+
+
+def _numbered(sizes: DataFrame) -> DataFrame:
+    """Sources with their place `nth` in the order by code point, null last."""
+    order = F.col("source").asc_nulls_last()
+    placed = materialise(sizes.repartitionByRange(order).withColumn("part", F.spark_partition_id()), "op1-ranges")
+    # one row for each partition
+    tallies = placed.groupBy("part").agg(F.count(F.lit(1)).alias("n"))
+    before = Window.partitionBy(F.lit(0)).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    bases = tallies.select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    own = F.row_number().over(Window.partitionBy("part").orderBy(order)) - 1
+    return placed.withColumn("own", own).join(bounded_broadcast(bases), "part").withColumn("nth", F.col("base") + F.col("own"))
+
+
+def _repeated(rows: DataFrame) -> DataFrame:
+    """Each row n times; rows that repeat very often are spread over tasks first."""
+    runs = F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / RUN)))
+    often = rows.filter(F.col("n") > RUN).withColumn("run", runs)
+    often = often.withColumn("n", F.least(F.lit(RUN).cast("long"), F.col("n") - F.col("run") * RUN)).repartition("run").drop("run")
+    return rows.filter(F.col("n").between(1, RUN)).unionByName(often).withColumn("n", F.explode(F.sequence(F.lit(1).cast("long"), "n"))).drop("n")
 
 
 def _uniform(seed: int, a: Column, b: Column) -> Column:
@@ -122,34 +149,42 @@ def mix(
     side, so a source misses its target by half a document at most. Draws depend on ids and
     sizes alone, so reruns agree. Repeated rows are documents of their own. An empty table
     gives no rows; other columns are ignored.
-    Returns doc_id, size, source_size, target, taken, copies.
+    Returns doc_id, size, source_size, target, taken, copies, source.
     """
-    rows = materialise(
-        docs.select(
-            F.col(id_col).cast("long").alias("doc_id"),
-            F.col(source_col).cast("string").alias("source"),
-            word_count(F.col(text_col).cast("string")).alias("size"),
-        ),
-        "op1-sizes",
+    rows = docs.select(
+        F.col(id_col).cast("long").alias("doc_id"),
+        F.col(source_col).cast("string").alias("source"),
+        word_count(F.col(text_col).cast("string")).alias("size"),
     )
-    sizes = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.count_if(F.col("size") > 0).alias("n"))
-    targets = materialise(source_targets(sizes.select("source", "source_size"), weights, share, cap), "op1-targets")
+    units = materialise(rows.groupBy("source", "doc_id", "size").agg(F.count(F.lit(1)).alias("n")), "op1-units")
+    sizes = units.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"), F.count_if(F.col("size") > 0).alias("n_units"))
+    targets = source_targets(sizes.select("source", "source_size"), weights, share, cap)
     ratio = F.when(F.col("source_size") > 0, F.least(F.col("target") / F.col("source_size"), F.lit(cap))).otherwise(0.0)
     per_source = (
         targets.withColumn("whole", F.floor(ratio).cast("int"))
         .withColumn("p", ratio - F.col("whole"))
         .withColumnRenamed("source", "s_source")
-        .join(sizes.select(F.col("source").alias("n_source"), "n"), F.col("s_source").eqNullSafe(F.col("n_source")))
+        .join(sizes.select(F.col("source").alias("n_source"), "n_units"), F.col("s_source").eqNullSafe(F.col("n_source")))
         .drop("n_source")
     )
     per_source = materialise(per_source, "op1-sources")
-    n_sources, most = per_source.agg(F.count(F.lit(1)), F.max("n")).first()
+    n_sources, most = per_source.agg(F.count(F.lit(1)), F.max("n_units")).first()
     small = bounded_broadcast(per_source, rows=n_sources)
-    known = rows.join(small, rows["source"].eqNullSafe(small["s_source"])).drop("s_source")
-    rounded = (F.col("size") > 0) & (F.col("p") > 0)
-    spread = F.ceil(F.col("n") / F.lit(FAN_IN))
+    # of n equal rows `up` get one more copy at once, and a fraction is left for one of them
+    known = (
+        units.join(small, units["source"].eqNullSafe(small["s_source"]))
+        .drop("s_source")
+        .withColumn("p", F.when(F.col("size") > 0, F.col("p")).otherwise(0.0))
+        .withColumn("whole", F.when(F.col("size") > 0, F.col("whole")).otherwise(0))
+        .withColumn("up", F.floor(F.col("n") * F.col("p")))
+        .withColumn("left", F.col("n") * F.col("p") - F.col("up"))
+    )
+    spread = F.ceil(F.col("n_units") / F.lit(FAN_IN))
     level = _round_buckets(
-        known.filter(rounded).withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "doc_id", "size"), spread)), seed
+        known.filter("left > 0").select(
+            "source", "doc_id", "size", F.col("left").alias("p"), F.pmod(F.xxhash64(F.lit(seed), "doc_id", "size"), spread).alias("bucket")
+        ),
+        seed,
     )
     settled, buckets, depth = [], -(-(most or 0) // FAN_IN), 0
     while True:
@@ -158,32 +193,40 @@ def mix(
         if buckets <= 1:
             break
         depth, buckets = depth + 1, -(-buckets // FAN_IN)
-        units = level.select("source", F.floor(F.col("bucket") / FAN_IN).alias("bucket"), "held.*")
-        level = _round_buckets(units, seed + depth)
+        units_left = level.select("source", F.floor(F.col("bucket") / FAN_IN).alias("bucket"), "held.*")
+        level = _round_buckets(units_left, seed + depth)
     settled.append(level.select("source", "held.doc_id", "held.size", (F.col("held.p") >= 0.5).cast("int").alias("extra")))
     fractional = settled[0]
     for part in settled[1:]:
         fractional = fractional.unionByName(part)
-    columns = ["doc_id", "size", "source_size", "target", "copies"]
+    columns = ["doc_id", "size", "source_size", "target", "copies", "source"]
     with_extra = fractional.join(small, fractional["source"].eqNullSafe(small["s_source"])).withColumn(
         "copies", F.col("whole") + F.col("extra")
     )
-    plain = known.filter(~rounded).withColumn("copies", F.when(F.col("size") > 0, F.col("whole")).otherwise(0))
+    counts = F.array(
+        F.struct((F.col("whole") + 1).alias("copies"), F.col("up").alias("n")),
+        F.struct(F.col("whole").alias("copies"), (F.col("n") - F.col("up") - (F.col("left") > 0).cast("long")).alias("n")),
+    )
+    at_once = known.filter("left = 0 OR n > 1").select("doc_id", "size", "source_size", "target", "source", F.inline(counts))
     return (
         with_extra.select(columns)
-        .unionByName(plain.select(columns))
-        .select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"), "copies")
+        .unionByName(_repeated(at_once).select(columns))
+        .select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"), "copies", "source")
     )
 
 
-def take_mix(docs: DataFrame) -> DataFrame:
+def take_mix(docs: DataFrame, seed: int = 20) -> DataFrame:
     """The mixed documents with all their columns, each as often as the mix takes it.
 
-    Rows that repeat an id get the largest number of copies that one of them has.
+    Rows are matched by id and source. Rows that repeat both share the mean of their copies: its
+    whole part is taken of each, and a hash of the text decides on the rest.
     """
-    copies = mix(docs).groupBy(F.col("doc_id").alias("mix_id")).agg(F.max("copies").alias("mix_copies"))
-    taken = docs.join(copies, docs["doc_id"].eqNullSafe(copies["mix_id"])).filter("mix_copies > 0")
-    return taken.withColumn("mix_copy", F.explode(F.sequence(F.lit(1), "mix_copies"))).select(docs.columns)
+    copies = mix(docs, seed=seed).groupBy(F.col("doc_id").alias("mix_id"), F.col("source").alias("mix_source")).agg(F.avg("copies").alias("mix_mean"))
+    same = docs["doc_id"].cast("long").eqNullSafe(copies["mix_id"]) & docs["source"].cast("string").eqNullSafe(copies["mix_source"])
+    share = F.col("mix_mean") - F.floor("mix_mean")
+    more = _uniform(seed, F.xxhash64("text"), F.lit(0)) < share
+    taken = docs.join(copies.filter("mix_mean > 0"), same).withColumn("mix_copies", (F.floor("mix_mean") + more.cast("int")).cast("int"))
+    return taken.filter("mix_copies > 0").withColumn("mix_copy", F.explode(F.sequence(F.lit(1), "mix_copies"))).select(docs.columns)
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
