@@ -134,7 +134,9 @@ class _Store:
         where = np.full(len(cuts), -1, dtype=np.int64)
         where[short] = self._remember(keys[at[short]], [cuts[i] for i in short], [learnt[i] for i in short])
         row[unseen] = where[own]
-        out_first, out_size = self.first.held[row], self.size.held[row].astype(np.int64)
+        out_first, out_size = np.zeros(len(row), dtype=np.int64), np.zeros(len(row), dtype=np.int64)
+        known = row >= 0
+        out_first[known], out_size[known] = self.first.held[row[known]], self.size.held[row[known]]
         loose = np.flatnonzero(where < 0)
         if not len(loose):
             return self.flat.held, out_first, out_size
