@@ -21,7 +21,7 @@ from .tokens import public_path, runs_of, word_encoder
 END_ID = 2
 SEGMENT_TOKENS = 1 << 20
 #: Bytes of text for each shard file.
-SHARD_BYTES = 64 << 20
+SHARD_BYTES = 16 << 20
 
 
 def _open(uri: str) -> tuple[fs.FileSystem, str]:
