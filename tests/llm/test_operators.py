@@ -382,3 +382,56 @@ def test_empty_tables(spark, no_docs):
     assert language_id.identify(no_docs).count() == 0
     assert mixing.mix(no_docs).count() == 0
     assert multi_index.search(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
+
+
+def test_mixing_of_many_equal_rows(spark):
+    """Repeated ids and sizes round among themselves; sources without number limit are ordered in ranges."""
+    rows = [(None, "a b c", "s")] * 700 + [(5, "a b", "s")] * 301 + [(i, "w " * (i % 7), f"t{i % 40:02d}") for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    sizes, most = defaultdict(int), defaultdict(int)
+    for _, t, s in rows:
+        sizes[s] += len(t.split())
+        most[s] = max(most[s], len(t.split()))
+    target, taken = fill(sizes), defaultdict(int)
+    got = mixing.mix(docs).collect()
+    assert Counter((r["doc_id"], r["source"], r["size"]) for r in got) == Counter((i, s, len(t.split())) for i, t, s in rows)
+    for r in got:
+        taken[r["source"]] += r["taken"]
+        assert r["target"] == pytest.approx(target[r["source"]])
+    assert all(abs(taken[s] - target[s]) <= most[s] / 2 + 1e-6 for s in sizes)
+
+
+def test_prefix_counts_of_long_text_without_spaces():
+    counter = token_counts.piece_counter(PIECES)
+    for text in ("qzxv" * 50_000, "日本語のテキスト" * 10_000, "\n" * 3000 + "ab　" * 2000):
+        (n, fits), ids = counter.count_many([text], 4096)[0], counter.model.encode(text)
+        assert n == len(ids)
+        table = counter.every_prefix(text)
+        assert table[-1] == n and len(table) == len(text) + 1
+        assert fits == (np.flatnonzero(table <= 4096)[-1])
+        assert all(table[i] == len(counter.model.encode(text[:i])) for i in range(0, 3000, 61))
+
+
+def test_equal_hashes_are_not_equal_cuts():
+    from influence_engine.llm import spans, tokens
+
+    learn = lambda cuts: [np.frombuffer(c, np.uint8).astype("<u4") for c in cuts]
+    store = tokens._Store(learn, "<u4", lambda raw, a, b: spans.hashes(raw, a, b) & np.uint64(3))
+    text = " ".join(f"w{i % 40}" for i in range(500)).encode() + b" " + b"x" * 200
+    for _ in range(3):
+        starts, ends = spans.words(text)
+        flat, first, size = store.look_up(text, starts, ends)
+        assert [bytes(flat[a : a + n].astype(np.uint8)) for a, n in zip(first, size)] == text.split()
+
+
+def test_windows_whose_keys_collide_are_told_apart(docs):
+    want = [tuple(r) for r in substring_dedup.remove_repeats(docs).collect()]
+    got = [tuple(r) for r in substring_dedup.remove_repeats(docs, prune_bits=3).collect()]
+    assert sorted(got, key=str) == sorted(want, key=str)
+
+
+def test_numerals_are_no_letters(spark):
+    rows = [(1, "²½Ⅷ①", "en"), (5, "١٢ _ !", None)]
+    rows += [(i, "plain words of a text", "en") if i % 2 else (i, "noch ein kurzer Satz", "de") for i in range(10, 40)]
+    got = {r["doc_id"]: r["lang_pred"] for r in language_id.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert got.pop(1) == got.pop(5) == "und" and set(got.values()) == {"en", "de"}
