@@ -19,11 +19,13 @@ import numpy as np
 from . import spans
 
 #: Cuts remembered in each worker; beyond, memory starts anew.
-REMEMBERED = 500_000
+REMEMBERED = 1_500_000
 #: Longer cuts (bytes) are encoded anew instead of remembered.
 LONGEST_REMEMBERED = 64
 #: Cuts that the library gets in one call.
-TOGETHER = 2_000
+TOGETHER = 1_000
+#: Letters with marks behind them that belong to no special string or contraction: two words for the file.
+_MARKED = re.compile("([a-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:;=-@\\[-`{-~]+)")
 
 
 class _Table:
@@ -182,6 +184,7 @@ class WordEncoder:
             self.ends = np.zeros(self.model.get_vocab_size() + 1, dtype=bool)
             self.ends[[i for t, i in spec["model"]["vocab"].items() if t.endswith(suffix)]] = True
         self.store = _Store(self._learn, "<u4")
+        self.marked: dict[str, np.ndarray] = {}
 
     @staticmethod
     def _drops_white_space(spec: dict) -> bool:
@@ -201,29 +204,47 @@ class WordEncoder:
         )
 
     def _library(self, text: str) -> np.ndarray:
-        return np.asarray(self.model.encode(text, add_special_tokens=False).ids, dtype="<u4")
+        return np.asarray(self.model.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
 
     def _learn(self, cuts: list[bytes]) -> list[np.ndarray]:
         """Words of letters go to the library many at once: each ends with an id that ends a word."""
         out: list[np.ndarray | None] = [None] * len(cuts)
-        letters, odd = [], []
+        letters, words, odd = [], [], []
+        tails: dict[int, str] = {}
         for i, cut in enumerate(cuts):
-            (letters if self.ends is not None and (cut.isalpha() or cut.decode().isalpha()) else odd).append(i)
+            word = cut.decode()
+            if self.ends is not None and word.isalpha():
+                letters.append(i)
+                words.append(word)
+            elif self.ends is not None and (parts := _MARKED.fullmatch(word)):
+                letters.append(i)
+                words.append(parts[1])
+                tails[i] = parts[2]
+            else:
+                odd.append(i)
         for at in range(0, len(letters), TOGETHER):
             some = letters[at : at + TOGETHER]
-            ids = self._library(b" ".join([cuts[i] for i in some]).decode())
+            ids = self._library(" ".join(words[at : at + TOGETHER]))
             last = (np.flatnonzero(self.ends[ids]) + 1).tolist()
             if len(last) == len(some):
                 for i, a, b in zip(some, [0, *last], last):
-                    out[i] = ids[a:b]
+                    out[i] = ids[a:b] if i not in tails else np.concatenate([ids[a:b], self._tail(tails[i])])
             else:
                 odd += some
         for at in range(0, len(odd), TOGETHER):
             some = odd[at : at + TOGETHER]
-            for i, e in zip(some, self.model.encode_batch([cuts[i].decode() for i in some], add_special_tokens=False)):
+            for i, e in zip(some, self.model.encode_batch_fast([cuts[i].decode() for i in some], add_special_tokens=False)):
                 out[i] = np.asarray(e.ids, dtype="<u4")
         return out
 
+    def _tail(self, marks: str) -> np.ndarray:
+        known = self.marked.get(marks)
+        if known is None:
+            if len(self.marked) > REMEMBERED:
+                self.marked.clear()
+            known = self.marked[marks] = self._library(marks)
+        return known
+
     @staticmethod
     def _split_stops(raw: bytes, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """A last full stop or comma after a letter a-z is always a word of its own."""
