@@ -28,15 +28,26 @@ class SoftmaxProbe:
     @classmethod
     def from_means(cls, vectors: DataFrame, scale: float = 8.0) -> SoftmaxProbe:
         """Class means as weights; one small row for each class reaches the driver."""
-        means = (
-            vectors.select("label", F.posexplode(F.col("embedding").cast("array<double>")).alias("j", "x"))
-            .groupBy("label", "j")
-            .agg(F.avg("x").alias("w"))
-            .collect()
-        )
-        out = np.zeros((max(r["label"] for r in means) + 1, max(r["j"] for r in means) + 1))
-        for r in means:
-            out[r["label"], r["j"]] = r["w"]
+
+        def run(batches):
+            total, n = {}, {}
+            for b in batches:
+                x, labels = matrix(b.column("embedding")), b.column("label").to_numpy()
+                for c in np.unique(labels).tolist():
+                    total[c] = total.get(c, 0) + x[labels == c].sum(axis=0)
+                    n[c] = n.get(c, 0) + int((labels == c).sum())
+            if n:
+                yield pa.RecordBatch.from_pydict({"label": pa.array(list(n), pa.int32()), "n": list(n.values()), "s": [total[c] for c in n]})
+
+        def add(parts):
+            return parts.iloc[:1].assign(n=[parts["n"].sum()], s=[np.sum(np.stack(parts["s"]), axis=0)])
+
+        ddl = "label int, n long, s array<double>"
+        rows = vectors.select(F.col("label").cast("int").alias("label"), F.col("embedding").cast("array<double>").alias("embedding"))
+        sums = rows.filter("label IS NOT NULL AND embedding IS NOT NULL").mapInArrow(run, ddl).groupBy("label").applyInPandas(add, ddl).collect()
+        out = np.zeros((max(r["label"] for r in sums) + 1, len(sums[0]["s"])))
+        for r in sums:
+            out[r["label"]] = np.array(r["s"]) / r["n"]
         return cls(out, scale)
 
     def probabilities(self, x: np.ndarray) -> np.ndarray:

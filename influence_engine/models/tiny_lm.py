@@ -21,6 +21,8 @@ from ..operators.gradients import ID, IndexSpec
 from ..operators.projection import TwoSided
 
 CONTEXT, EMBED, PAD, UNKNOWN = 3, 16, 0, 1
+#: Share of the old second moments that a training step keeps.
+DECAY = 0.9
 WIDTHS = {"s": 16, "m": 32, "l": 64}
 #: Tokens that are held against the whole vocabulary at once; sums over tokens are taken piece by piece.
 PIECE = 4096
@@ -49,10 +51,14 @@ def encode(df: DataFrame, vocab: dict[str, int], prompt: str | None = None, text
 
 @dataclass
 class TinyLM:
-    """Weights by layer name; `moment` has (row, column) factors of each layer's second moment."""
+    """Weights by layer name; `moment` has (row, column) factors of each layer's second moment.
+
+    `rate` is the one of the last training step.
+    """
 
     weights: dict[str, np.ndarray]
     moment: dict[str, tuple[np.ndarray, np.ndarray]]
+    rate: float = 0.0
 
     columns = ["tokens", "target_from"]
 
@@ -115,7 +121,7 @@ class TinyLM:
             # updates are clipped to unit root mean square, as factored optimisers do
             move /= max(1.0, float(np.sqrt((move * move).mean())))
             weights[k], moment[k] = self.weights[k] - rate * move, (r, c)
-        return TinyLM(weights, moment)
+        return TinyLM(weights, moment, rate)
 
     # --- kernels over Arrow batches
 
@@ -234,7 +240,7 @@ def fit(
                 for at in range(0, len(rows), batch):
                     context, target, _ = contexts(rows[at : at + batch], [0] * len(rows[at : at + batch]))
                     if len(target):
-                        own = own.step(context, target, pace, 0.9)
+                        own = own.step(context, target, pace, DECAY)
                         n += len(target)
             if n:
                 w = [own.weights[k].astype(np.float64).tobytes() for k in names]
@@ -249,7 +255,7 @@ def fit(
             moment = {
                 k: tuple(sum(n * np.frombuffer(m[2 * i + j]) for n, _, m in got) / total for j in (0, 1)) for i, k in enumerate(names)
             }
-            model = TinyLM(weights, moment)
+            model = TinyLM(weights, moment, pace)
         shared.unpersist()
         out.append(model)
     return out
@@ -270,9 +276,10 @@ def complete(queries: DataFrame, model: TinyLM, vocab: dict[str, int], most: int
     return queries.select("query_id", "fact_id", "tokens", "target_from").mapInArrow(run, "query_id long, fact_id long, prediction string")
 
 
-def tail_patch(ranked: DataFrame, candidates: DataFrame, queries: DataFrame, model: TinyLM, rate: float = 0.02) -> DataFrame:
+def tail_patch(ranked: DataFrame, candidates: DataFrame, queries: DataFrame, model: TinyLM) -> DataFrame:
     """Change of the target's probability by one training step on one candidate.
 
+    The step is the one that training would take next: its last rate, and moments that move.
     Pairs are sorted by candidate, so its step is made once; patched weights stay in the task.
     Columns of `ranked`, then p_before, p_after, delta.
     """
@@ -289,7 +296,7 @@ def tail_patch(ranked: DataFrame, candidates: DataFrame, queries: DataFrame, mod
             for i, own, q, start in zip(*(b.column(b.schema.get_field_index(c)).to_pylist() for c in (ID, "m_tokens", "q_tokens", "target_from"))):
                 if i != last:
                     context, target, _ = contexts([own], [0])
-                    last, patched = i, m.step(context, target, rate) if len(target) else m
+                    last, patched = i, m.step(context, target, m.rate, DECAY) if len(target) else m
                 before.append(float(np.exp(m.log_probability([q], [start])[0])))
                 after.append(float(np.exp(patched.log_probability([q], [start])[0])))
             p, a = np.array(before), np.array(after)

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.randoms import fixed_order
 from ..sources import catalog
 from .gradients import ID
+from .work import bounded_broadcast
 
 # fixed values: number, prompt pattern of each relation; %s is the subject
 TEMPLATES = {
@@ -27,7 +28,7 @@ TEMPLATES = {
     "customer_region": (12, "%s shops from"),
 }
 _BASE = 10**10
-_SHIPMENTS = 10**15
+_SHIPMENTS, _PER_ORDER = 10**15, 10**4
 
 
 def _order(key: Column) -> Column:
@@ -37,10 +38,10 @@ def _order(key: Column) -> Column:
 def _stated(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row for each sentence that states a fact: example_id, subject, relation, object."""
     t = {n: catalog.load(spark, sf_dir, n) for n in ("region", "nation", "supplier", "customer", "part", "orders")}
-    nation = F.broadcast(t["nation"])
+    nation = bounded_broadcast(t["nation"])
     suppliers = t["supplier"].join(nation, F.col("s_nationkey") == F.col("n_nationkey"))
     customers = t["customer"].join(nation, F.col("c_nationkey") == F.col("n_nationkey"))
-    nations = t["nation"].join(F.broadcast(t["region"]), F.col("n_regionkey") == F.col("r_regionkey"))
+    nations = t["nation"].join(bounded_broadcast(t["region"]), F.col("n_regionkey") == F.col("r_regionkey"))
     orders = t["orders"].join(t["customer"], F.col("o_custkey") == F.col("c_custkey"))
     order = _order(F.col("o_orderkey"))
     rows = [
@@ -82,15 +83,21 @@ def closed_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
         .join(catalog.load(spark, sf_dir, "supplier").select("s_suppkey", "s_name"), F.col("l_suppkey") == F.col("s_suppkey"))
     )
     order = _order(F.col("l_orderkey"))
-    shipped = line.select(
+    # line numbers repeat within an order, so a sentence is named by the order and its place among the order's sentences
+    sentences = line.select(
+        "l_orderkey",
         F.concat(order, F.lit(" shipped "), F.col("p_name"), F.lit(" from "), F.col("s_name"), F.lit(".")).alias("text"),
-        order.alias("subject"),
-        F.lit("shipment").alias("relation"),
         F.col("s_name").alias("object"),
     ).distinct()
-    # line numbers repeat within an order, so a sentence is named by 48 bits of its digest
-    digest = F.conv(F.substring(F.md5("text"), 1, 12), 16, 10).cast("long")
-    return stated.unionByName(shipped.withColumn(ID, F.lit(_SHIPMENTS) + digest))
+    nth = F.row_number().over(Window.partitionBy("l_orderkey").orderBy("text"))
+    shipped = sentences.select(
+        (F.lit(_SHIPMENTS) + F.col("l_orderkey") * _PER_ORDER + nth).alias(ID),
+        "text",
+        _order(F.col("l_orderkey")).alias("subject"),
+        F.lit("shipment").alias("relation"),
+        "object",
+    )
+    return stated.unionByName(shipped)
 
 
 def triples(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -102,7 +109,7 @@ def triples(spark: SparkSession, sf_dir: str) -> DataFrame:
     lies = stated.filter("relation = 'nation_region'").select(F.col("subject").alias("object"), F.col("object").alias("region"))
     hops = (
         stated.filter("relation IN ('supplier_nation', 'customer_nation')")
-        .join(F.broadcast(lies), "object")
+        .join(bounded_broadcast(lies), "object")
         .select(
             (F.col(ID) + 10 * _BASE).alias("fact_id"),
             "subject",
@@ -127,14 +134,20 @@ def mentions(corpus: DataFrame) -> DataFrame:
 
 
 def frequency(facts: DataFrame, corpus: DataFrame) -> DataFrame:
-    """Sentences that mention both subject and object, at least 0; `decade` is its power of ten."""
-    said = mentions(corpus)
+    """Sentences that mention both subject and object, at least 0; `decade` is its power of ten.
+
+    A sentence has two entities, so it counts for one unordered pair, and the pair is shuffled
+    once, summed before; a fact whose subject is its object counts all sentences of that entity.
+    """
+    pairs = corpus.groupBy(F.least("subject", "object").alias("low"), F.greatest("subject", "object").alias("high")).agg(F.count_distinct(ID).alias("freq"))
+    low, high = F.least(F.col("subject"), F.col("object")), F.greatest(F.col("subject"), F.col("object"))
+    named = facts.select("fact_id", "subject", "object")
+    one = named.filter("subject = object").join(mentions(corpus).withColumnRenamed("entity", "subject"), "subject")
     both = (
-        facts.select("fact_id", "subject", "object")
-        .join(said.withColumnRenamed("entity", "subject"), "subject")
-        .join(said.withColumnRenamed("entity", "object"), ["object", ID])
-        .groupBy("fact_id")
-        .agg(F.count_distinct(ID).alias("freq"))
+        named.filter("subject <> object")
+        .join(pairs, (low == F.col("low")) & (high == F.col("high")))
+        .select("fact_id", "freq")
+        .unionByName(one.groupBy("fact_id").agg(F.count_distinct(ID).alias("freq")))
     )
     freq = F.coalesce("freq", F.lit(0)).cast("long")
     return facts.join(both, "fact_id", "left").withColumn("freq", freq).withColumn("decade", decade(F.col("freq")))
@@ -158,8 +171,9 @@ def cap_all_wrong(facts: DataFrame, correct: DataFrame, most: int, seed: int = 1
     """Keep at most that many facts that every model gets wrong (fact_id, correct)."""
     known = correct.groupBy("fact_id").agg(F.max("correct").alias("any_correct"))
     joined = facts.join(known, "fact_id", "left").withColumn("any_correct", F.coalesce("any_correct", F.lit(False)))
-    nth = F.row_number().over(Window.partitionBy("any_correct").orderBy(fixed_order(seed, "fact_id")))
-    return joined.withColumn("nth", nth).filter(F.col("any_correct") | (F.col("nth") <= most)).drop("nth", "any_correct")
+    # a limit with an order keeps that many rows in each task and of them that many in the end
+    missed = joined.filter(~F.col("any_correct")).orderBy(fixed_order(seed, "fact_id"), "fact_id").limit(most)
+    return joined.filter("any_correct").unionByName(missed).drop("any_correct")
 
 
 def queries(facts: DataFrame) -> DataFrame:

@@ -11,6 +11,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -18,6 +19,8 @@ from pyspark.sql import functions as F
 from ..functions.arrow import from_matrix
 
 ID = "example_id"
+#: Parameters whose sums travel in one row.
+STRETCH = 1 << 16
 
 
 @dataclass(frozen=True)
@@ -118,26 +121,24 @@ def layer_sums(examples: DataFrame, model, output: str, reduce) -> tuple[int, di
                 n += b.num_rows
                 for layer, g in shared.value.gradients(b, output).items():
                     total[layer] = total.get(layer, 0) + reduce(g)
-        if n:
-            yield pa.RecordBatch.from_pydict({"layer": list(total), "n": [n] * len(total), "s": [x.ravel().tolist() for x in total.values()]})
-
-    parts = examples.select(F.col(ID).cast("long").alias(ID), *model.columns).mapInArrow(run, "layer string, n long, s array<double>")
-    # sums of the tasks meet position by position, so the driver gets one row for each parameter
-    summed = (
-        parts.select("layer", "n", F.posexplode("s").alias("i", "x"))
-        .groupBy("layer", "i")
-        .agg(F.sum("n").alias("n"), F.sum("x").alias("x"))
-        .collect()
-    )
-    n = max((r["n"] for r in summed), default=0)
-    out = {}
-    for layer in {r["layer"] for r in summed}:
-        flat = np.zeros(1 + max(r["i"] for r in summed if r["layer"] == layer))
-        for r in summed:
-            if r["layer"] == layer:
-                flat[r["i"]] = r["x"]
-        out[layer] = flat
-    return n, out
+        for layer, x in total.items() if n else ():
+            flat = x.ravel()
+            for at in range(0, len(flat), STRETCH):
+                yield pa.RecordBatch.from_pydict({"layer": [layer], "at": [at], "n": [n], "s": [flat[at : at + STRETCH]]})
+
+    def add(parts: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame(
+            {"layer": parts["layer"].iloc[:1], "at": parts["at"].iloc[:1], "n": [parts["n"].sum()], "s": [np.sum(np.stack(parts["s"]), axis=0)]}
+        )
+
+    ddl = "layer string, at long, n long, s array<double>"
+    parts = examples.select(F.col(ID).cast("long").alias(ID), *model.columns).mapInArrow(run, ddl)
+    # sums of the tasks meet stretch by stretch, so the driver gets a row for each stretch of a layer
+    summed = sorted(parts.groupBy("layer", "at").applyInPandas(add, ddl).collect(), key=lambda r: (r["layer"], r["at"]))
+    out: dict[str, list] = {}
+    for r in summed:
+        out.setdefault(r["layer"], []).append(np.array(r["s"]))
+    return max((r["n"] for r in summed), default=0), {layer: np.concatenate(x) for layer, x in out.items()}
 
 
 def diagonal_moment(examples: DataFrame, model, output: str = "loss") -> dict[str, np.ndarray]:

@@ -92,13 +92,16 @@ def length_bias(ranked: DataFrame, passages: DataFrame, by: str = "method") -> D
 def random_rank(candidates: DataFrame, queries: DataFrame, k: int = 10, seed: int = 1) -> DataFrame:
     """A floor for measures: k candidates in a random order of each query's own.
 
-    Queries draw from the 50 k candidates that come first in one fixed random order.
+    All candidates fall into buckets of about four by a hash; a query draws 4 k buckets by
+    another hash and takes the k members that come first in its own order.
     """
-    order = fixed_order(seed, ID)
-    drawn = candidates.select(ID).orderBy(order).limit(50 * k)
-    pairs = queries.select("query_id").crossJoin(F.broadcast(drawn))
+    buckets = max(1, candidates.count() // 4)
+    dealt = candidates.select(ID, _bucket(fixed_order(seed, ID), buckets))
+    draws = queries.select("query_id", F.explode(F.sequence(F.lit(0), F.lit(4 * k - 1))).alias("i"))
+    drawn = draws.select("query_id", _bucket(fixed_order(seed, "query_id", "i"), buckets)).distinct()
     nth = F.row_number().over(Window.partitionBy("query_id").orderBy(fixed_order(seed, "query_id", ID)))
-    return pairs.withColumn("rank", nth).filter(F.col("rank") <= k).select("query_id", "rank", ID)
+    found = dealt.join(drawn, "bucket").withColumn("rank", nth)
+    return found.filter(F.col("rank") <= k).select("query_id", "rank", ID)
 
 
 def distractor_pool(facts: DataFrame, candidates: DataFrame, n: int = 300, seed: int = 1) -> DataFrame:

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions.textops import tokenise
 from .gradients import ID
-from .scoring import top_k
+from .scoring import score_top_k, top_k
+from .work import bounded_broadcast, materialise
 
 K1, B = 1.2, 0.75
 
@@ -51,19 +52,19 @@ def join_postings(table: DataFrame, terms: DataFrame, strategy: str | None = Non
 def bm25(candidates: DataFrame, queries: DataFrame, k: int = 10, k1: float = K1, b: float = B, strategy: str | None = None) -> DataFrame:
     """(query_id, rank, example_id, score): ranks on 8 decimals, then by id.
 
-    Candidates' words that no query holds are dropped by a semi join before anything is grouped.
+    Texts are cut into words once: that pass keeps the words that queries hold and counts the
+    candidates and their lengths on the way.
     """
-    terms = query_terms(queries)
+    terms = materialise(query_terms(queries), "bm25-terms")
+    asked = bounded_broadcast(terms.select("term").distinct())
+    seen = Observation()
     words = candidates.select(ID, tokenise(F.col("text")).alias("words")).withColumn("length", F.size("words").cast("long"))
-    hits = (
-        words.select(ID, "length", F.explode("words").alias("term"))
-        .join(terms.select("term").distinct(), "term", "left_semi")
-        .groupBy("term", ID, "length")
-        .agg(F.count(F.lit(1)).alias("tf"))
-    )
-    size = words.agg(F.count(F.lit(1)).alias("n"), F.avg("length").alias("mean_length"))
-    weighted = join_postings(hits, terms.join(doc_freq(hits), "term"), strategy).crossJoin(F.broadcast(size))
-    part = F.col("qtf") * idf(F.col("n"), F.col("df")) * F.col("tf") / (F.col("tf") + k1 * (1 - b + b * F.col("length") / F.col("mean_length")))
+    words = words.observe(seen, F.count(F.lit(1)).alias("n"), F.avg("length").alias("mean_length"))
+    hits = words.select(ID, "length", F.explode("words").alias("term")).join(asked, "term", "left_semi")
+    hits = materialise(hits.groupBy("term", ID, "length").agg(F.count(F.lit(1)).alias("tf")), "bm25-hits")
+    n, mean_length = seen.get["n"], float(seen.get["mean_length"] or 1.0)
+    weighted = join_postings(hits, bounded_broadcast(terms.join(doc_freq(hits), "term")), strategy)
+    part = F.col("qtf") * idf(F.lit(n), F.col("df")) * F.col("tf") / (F.col("tf") + k1 * (1 - b + b * F.col("length") / F.lit(mean_length)))
     scores = weighted.groupBy("query_id", ID).agg(F.round(F.sum(part), 8).alias("score"))
     return top_k(scores, k)
 
@@ -74,6 +75,10 @@ def hashed_tfidf(texts: DataFrame, key: str, frequencies: DataFrame, n_docs: Dat
     Words that the candidates do not hold have document frequency 0.
     """
     words = texts.select(key, F.explode(tokenise(F.col("text"))).alias("term")).groupBy(key, "term").agg(F.count(F.lit(1)).alias("tf"))
+    return _tfidf(words, key, frequencies, n_docs, dim)
+
+
+def _tfidf(words: DataFrame, key: str, frequencies: DataFrame, n_docs: DataFrame, dim: int) -> DataFrame:
     bucket = F.conv(F.substring(F.md5("term"), 1, 8), 16, 10).cast("long") % dim
     weight = F.col("tf") * idf(F.col("n"), F.coalesce("df", F.lit(0)))
     raw = (
@@ -88,10 +93,18 @@ def hashed_tfidf(texts: DataFrame, key: str, frequencies: DataFrame, n_docs: Dat
 
 def dense_text(candidates: DataFrame, queries: DataFrame, k: int = 10, dim: int = 768) -> DataFrame:
     """Cosine of hashed TF-IDF vectors, the text-embedding baseline's stand-in."""
-    table = postings(candidates)
+    table = materialise(postings(candidates), "dense-postings")
     frequencies = doc_freq(table)
     n = candidates.agg(F.count(F.lit(1)).alias("n"))
-    m = hashed_tfidf(candidates, ID, frequencies, n, dim)
-    q = hashed_tfidf(queries, "query_id", frequencies, n, dim).withColumnRenamed("x", "y")
-    scores = m.join(q, "bucket").groupBy("query_id", ID).agg(F.round(F.sum(F.col("x") * F.col("y")), 8).alias("score"))
-    return top_k(scores, k)
+    m = _whole(_tfidf(table.select(ID, "term", "tf"), ID, frequencies, n, dim), ID, dim)
+    q = _whole(hashed_tfidf(queries, "query_id", frequencies, n, dim), "query_id", dim).withColumnRenamed("query_id", ID)
+    # weights are positive, so a score of 0 has no word in common
+    return top_k(score_top_k(m, q, k, unit_norm=False).filter("score > 0").drop("rank"), k)
+
+
+def _whole(vectors: DataFrame, key: str, dim: int) -> DataFrame:
+    """One array for each key, from long form."""
+    places = F.map_from_entries(F.collect_list(F.struct("bucket", "x")))
+    found = vectors.filter("x IS NOT NULL").groupBy(key).agg(places.alias("places"))
+    at = F.sequence(F.lit(0).cast("long"), F.lit(dim - 1).cast("long"))
+    return found.select(key, F.transform(at, lambda i: F.coalesce(F.try_element_at("places", i), F.lit(0.0))).alias("v"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .gradients import ID
+from .work import bounded_broadcast
 
 
 def first_hits(ranked: DataFrame, verdicts: DataFrame, queries: DataFrame, k: int = 10, by: list[str] | None = None) -> DataFrame:
@@ -19,7 +20,7 @@ def first_hits(ranked: DataFrame, verdicts: DataFrame, queries: DataFrame, k: in
     )
     base = queries.select("query_id").distinct()
     if by:
-        base = base.crossJoin(F.broadcast(ranked.select(*by).distinct()))
+        base = base.crossJoin(bounded_broadcast(ranked.select(*by).distinct()))
     return base.join(hits, [*by, "query_id"], "left")
 
 
@@ -71,6 +72,13 @@ def overlap(ranked: DataFrame, k: int = 10, by: str = "method") -> DataFrame:
     return shared.groupBy(by, "other").agg((F.count(F.lit(1)) / (k * max(1, n_queries))).alias("overlap"))
 
 
+def ratios(found: DataFrame, by: str, measure: str) -> DataFrame:
+    """How many times one method's measure is another's; methods at 0 are no denominators."""
+    a = found.select(F.col(by), F.col(measure).alias("a"))
+    b = found.select(F.col(by).alias("other"), F.col(measure).alias("b")).filter("b > 0")
+    return a.join(b, F.col(by) != F.col("other")).select(by, "other", F.round(F.col("a") / F.col("b"), 6).alias("ratio"))
+
+
 def fidelity(projected: DataFrame, exact: DataFrame) -> DataFrame:
     """Correlation of two score tables over their common pairs."""
     joined = projected.select("query_id", ID, F.col("score").alias("a")).join(

@@ -32,6 +32,17 @@ PRESETS = {
     "x_no_norm_mixed": Preset(True, "mixed", False),
     "x_eval_cosine": Preset(True, "eval", True),
 }
+#: Every cell of output correction, curvature and norm; cells that have a name keep it.
+GRID = {
+    (moment, hessian, norm): next(
+        (n for n, p in PRESETS.items() if p == Preset(moment, hessian, norm)),
+        f"x_{'moment' if moment else 'plain'}_{hessian}_{'cosine' if norm else 'dot'}",
+    )
+    for moment in (False, True)
+    for hessian in ("none", "train", "eval", "mixed")
+    for norm in (False, True)
+}
+PRESETS.update({name: Preset(*cell) for cell, name in GRID.items()})
 PRESETS["gradient_cosine"] = PRESETS["exp4_moment_cosine"]
 
 CLOSED_SET_LAMBDA, OPEN_SET_LAMBDA = 0.90, 0.99
@@ -68,6 +79,10 @@ class Study:
             )
         return self._indexes[key]
 
+    def use(self, moment: bool, index: DataFrame, queries: DataFrame, output: str = "loss") -> None:
+        """Take ready indexes instead of building them."""
+        self._indexes[moment, output] = (index, queries)
+
     def curvature(self, hessian: str, moment: bool, output: str = "loss") -> DataFrame | None:
         if hessian == "none":
             return None

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from ..functions.arrow import to_matrix
 from .curvature import as_arrays, block_names
 from .gradients import ID
+from .work import bounded_broadcast, materialise
 
 #: Bytes of query vectors that go to the tasks at a time.
 TILE_BYTES = 256 << 20
@@ -53,17 +54,20 @@ def score_top_k(
     names = block_names(index)
     spark = index.sparkSession
     folds = as_arrays(inverse) if inverse is not None else {}
-    wanted = queries.select(ID, *names).toArrow()
-    ids = np.array(wanted[ID].to_pylist(), dtype=np.int64)
-    parts = [to_matrix(wanted[n]) for n in names]
-    width = sum(p.shape[1] for p in parts) or 1
-    tile = max(1, tile_bytes // (8 * width))
+    asked = queries.select(ID, *names)
+    held = asked.agg(F.coalesce(F.sum(sum((F.size(n) for n in names), F.lit(1))), F.lit(0)).alias("n")).first()["n"] * 8
+    tiles = max(1, -(-held // tile_bytes))
+    if tiles > 1:
+        asked = materialise(asked.withColumn("tile", F.pmod(F.xxhash64(ID), F.lit(tiles))), "query-tiles")
     best = -1.0 if ascending else 1.0
     found = None
-    for at in range(0, max(len(ids), 1), tile):
-        own = [p[at : at + tile] for p in parts]
+    for at in range(tiles):
+        # one tile at a time reaches the driver
+        wanted = (asked.filter(F.col("tile") == at) if tiles > 1 else asked).toArrow()
+        ids = np.array(wanted[ID].to_pylist(), dtype=np.int64)
+        own = [to_matrix(wanted[n]) for n in names]
         folded = [_fold(p, folds.get(n)) for p, n in zip(own, names)]
-        shared = spark.sparkContext.broadcast((ids[at : at + tile], folded, _norms(own, folded), folds))
+        shared = spark.sparkContext.broadcast((ids, folded, _norms(own, folded), folds))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             q_ids, y, q_norm, inv = shared.value
@@ -88,7 +92,7 @@ def score_top_k(
                     bound = np.partition(key, k - 1, axis=1)[:, k - 1 : k]
                     near = (key <= bound).any(axis=0)
                     kept_score, kept_id, key = kept_score[:, near], kept_id[:, near], key[:, near]
-                order = np.stack([np.lexsort((i, x))[:k] for i, x in zip(kept_id, key)])
+                order = np.lexsort((kept_id, key), axis=1)[:, :k]
                 kept_score = np.take_along_axis(kept_score, order, axis=1)
                 kept_id = np.take_along_axis(kept_id, order, axis=1)
             n = kept_id.shape[1]
@@ -147,4 +151,4 @@ def all_scores(index: DataFrame, queries: DataFrame, unit_norm: bool = False) ->
     dot = vec_dot(F.col("q"), F.col("m"))
     if unit_norm:
         dot = dot / F.nullif(F.sqrt(vec_dot(F.col("q"), F.col("q")) * vec_dot(F.col("m"), F.col("m"))), F.lit(0.0))
-    return m.crossJoin(F.broadcast(q)).select("query_id", ID, F.round(dot, SCORE_DIGITS).alias("score"))
+    return m.crossJoin(bounded_broadcast(q)).select("query_id", ID, F.round(dot, SCORE_DIGITS).alias("score"))

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
-from ..operators import curvature, gradients, scoring
+from ..operators import curvature, gradients, lexical, scoring
 from ..operators.gradients import ID, IndexSpec
 
 
@@ -40,6 +40,16 @@ def curvature_sums(path: str, block_size: int) -> Callable[[DataFrame, int], Non
     return fn
 
 
+def term_sums(path: str) -> Callable[[DataFrame, int], None]:
+    """Document and term frequencies of each batch of passages in a folder of its own."""
+
+    def fn(batch: DataFrame, batch_id: int) -> None:
+        found = lexical.postings(batch).groupBy("term").agg(F.count(F.lit(1)).alias("df"), F.sum("tf").alias("tf"))
+        found.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+
+    return fn
+
+
 def merged_curvature(spark: SparkSession, path: str) -> DataFrame:
     """Mean curvature over all batches: sums merge exactly."""
     tiles = spark.read.parquet(path)
