@@ -5,26 +5,30 @@ from __future__ import annotations
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark import StorageLevel
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.textops import tokenise
+from ..functions.textops import normalise, tokenise
+from ..functions.vectors import vec_norm
 from ..models import tiny_lm
-from ..operators import curvature, gradients, headroom, lexical, measures, scoring
+from ..operators import curvature, gradients, headroom, judge, lexical, measures, scoring
 from ..operators import facts as fx
 from ..operators.gradients import ID, IndexSpec
-from ..operators.presets import OPEN_SET_LAMBDA, Study
+from ..operators.presets import GRID, OPEN_SET_LAMBDA, Study
 from ..operators.projection import TwoSided
+from ..operators.work import materialise, shared_folder, written
 from . import text
 
 VOCAB, SIZE, ROUNDS, SIDE, RATE = 1024, "m", 8, 8, 0.02
+#: Words of a passage; longer texts are several passages.
+PASSAGE = 2048
 MAIN = ["mixed_cosine", "exp1_plain_dot", "exp2_plain_cosine", "exp3_train_curvature_cosine", "exp4_moment_cosine", "exp5_moment_train_cosine", "margin_influence"]
 
 
 def _keep(df: DataFrame) -> DataFrame:
-    """Serialised copy of a reused intermediate; it can be computed anew, and it spills to disk."""
-    return df.persist(StorageLevel.MEMORY_AND_DISK)
+    """A reused intermediate is a table in the shared folder, so nothing stays in memory between queries."""
+    return materialise(df, "study")
 
 
 @dataclass
@@ -57,23 +61,25 @@ class Closed:
         return fx.gold_verdicts(self.facts)
 
     def patched(self, ranked: DataFrame, model=None) -> DataFrame:
-        return tiny_lm.tail_patch(ranked, self.candidates, self.queries, model or self.model, RATE)
+        return tiny_lm.tail_patch(ranked, self.candidates, self.queries, model or self.model)
 
 
-_prepared: dict = {}
+#: Trained checkpoints of a session by input and size; their size does not depend on the data.
+_trained: dict = {}
 
 
-def prepare(spark: SparkSession, sf_dir: str, size: str = SIZE, per_decade: int = 30) -> Closed:
-    """Build and train once for each session, input and size."""
-    key = (spark.sparkContext.applicationId, sf_dir, size, per_decade)
-    if key not in _prepared:
-        facts = _keep(text.sampled(spark, sf_dir, per_decade))
-        corpus = _keep(fx.closed_corpus(spark, sf_dir))
-        vocab = tiny_lm.vocabulary(corpus, VOCAB)
-        candidates = _keep(tiny_lm.encode(corpus, vocab).select(ID, "tokens", "target_from"))
-        queries = _keep(tiny_lm.encode(fx.queries(facts), vocab, "prompt"))
-        _prepared[key] = Closed(facts, corpus, candidates, queries, vocab, tiny_lm.fit(candidates, VOCAB, size, rounds=ROUNDS, rate=RATE))
-    return _prepared[key]
+def prepare(spark: SparkSession, sf_dir: str, size: str = SIZE, per_decade: int = text.PER_DECADE) -> Closed:
+    """Facts, corpus, tokens and queries are written once for a session; a model of each size is trained once."""
+    facts, corpus = text.sampled(spark, sf_dir, per_decade), text.corpus(spark, sf_dir)
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if (*key, "vocab") not in _trained:
+        _trained[(*key, "vocab")] = tiny_lm.vocabulary(corpus, VOCAB)
+    vocab = _trained[(*key, "vocab")]
+    candidates = written(spark, (sf_dir, "candidates"), lambda: tiny_lm.encode(corpus, vocab).select(ID, "tokens", "target_from"))
+    queries = written(spark, (sf_dir, per_decade, "queries"), lambda: tiny_lm.encode(fx.queries(facts), vocab, "prompt"))
+    if (*key, size) not in _trained:
+        _trained[(*key, size)] = tiny_lm.fit(candidates, VOCAB, size, rounds=ROUNDS, rate=RATE)
+    return Closed(facts, corpus, candidates, queries, vocab, _trained[(*key, size)])
 
 
 def _table(ranked: DataFrame, c: Closed, by: str = "preset", model=None) -> DataFrame:
@@ -118,32 +124,103 @@ def rerank_bm25(spark: SparkSession, sf_dir: str, shortlist: int = 50) -> DataFr
 
 
 def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Corrections switched on one by one, with and without unit norm."""
-    names = [*MAIN[:-1], "gradient_dot", "x_no_norm_train", "x_no_norm_moment_train", "x_no_norm_mixed"]
+    """All cells of moment correction, curvature and norm: accuracy and influence."""
     c = prepare(spark, sf_dir)
-    return _table(c.study().run_all(names), c)
+    cells = spark.createDataFrame([(n, m, h, u) for (m, h, u), n in GRID.items()], "preset string, moment boolean, hessian string, unit_norm boolean")
+    return _table(c.study().run_all(list(GRID.values())), c).join(cells, "preset")
 
 
-def dimension_sweep(spark: SparkSession, sf_dir: str, sides=(2, 4, 8), sizes=("s", "m")) -> DataFrame:
-    """Accuracy by projection dimension and model size; dimensions are three blocks of side squared."""
+def _cut(index: DataFrame, side: int, wide: int) -> DataFrame:
+    """The index of a smaller projection: a sub-grid of every block."""
+    at = [a * wide + b for a in range(side) for b in range(side)]
+    blocks = [F.array(*[F.get(n, F.lit(i)) for i in at]).alias(n) for n in tiny_lm.BLOCKS]
+    return index.select(ID, *blocks)
+
+
+def dimension_sweep(spark: SparkSession, sf_dir: str, sides=(2, 4, 8), sizes=("s", "m", "l")) -> DataFrame:
+    """Accuracy and influence by projection dimension and model size; dimensions are three blocks of side squared.
+
+    One index of the largest dimension is built for each size; smaller ones are cut from it.
+    """
     out = []
     for size in sizes:
         c = prepare(spark, sf_dir, size)
-        ranked = [c.study(side=s).run("mixed_cosine").withColumn("d", F.lit(3 * s * s)) for s in sides]
-        found = measures.mrr_recall(reduce(DataFrame.unionByName, ranked), c.verdicts(), c.queries, by=["d"])
-        out.append(found.withColumn("size", F.lit(size)))
+        index, queries = c.study(side=max(sides)).indexes(True)
+        ranked = []
+        for side in sides:
+            study = c.study(side=side)
+            study.use(True, _cut(index, side, max(sides)), _cut(queries, side, max(sides)))
+            ranked.append(study.run("mixed_cosine").withColumn("d", F.lit(3 * side * side)))
+        out.append(_table(reduce(DataFrame.unionByName, ranked), c, "d").withColumn("size", F.lit(size)))
     return reduce(DataFrame.unionByName, out)
 
 
-def training_curve(spark: SparkSession, sf_dir: str, every: int = 2) -> DataFrame:
-    """Accuracy at checkpoints through training."""
+def training_curve(spark: SparkSession, sf_dir: str, every: int = 4, sizes=("s", "m", "l")) -> DataFrame:
+    """Accuracy and influence at checkpoints through training, for every model size."""
+    out = []
+    for size in sizes:
+        c = prepare(spark, sf_dir, size)
+        for i, m in enumerate(c.checkpoints):
+            if (i + 1) % every == 0:
+                ranked = c.study(model=m).run("mixed_cosine").withColumn("ckpt", F.lit(i + 1))
+                out.append(_table(ranked, c, "ckpt", m).withColumn("size", F.lit(size)))
+    return reduce(DataFrame.unionByName, out)
+
+
+class CheckpointSum:
+    """Several checkpoints as one model: its inner products are weighted sums over them.
+
+    With unit norm each checkpoint's gradients are brought to length one first.
+    """
+
+    columns = tiny_lm.TinyLM.columns
+
+    def __init__(self, models: list, weights: list[float], unit_norm: bool):
+        self.models, self.weights, self.unit_norm = models, weights, unit_norm
+        self.blocks = {f"c{i}_{b}": layers for i in range(len(models)) for b, layers in tiny_lm.BLOCKS.items()}
+
+    def projected(self, batch, spec: IndexSpec) -> dict[str, np.ndarray]:
+        out = {}
+        for i, (model, weight) in enumerate(zip(self.models, self.weights)):
+            found = model.projected(batch, spec.with_(blocks=tiny_lm.BLOCKS, moment=model.moment if spec.moment else None))
+            length = np.sqrt(sum((g * g).sum(axis=1) for g in found.values())) if self.unit_norm else 1.0
+            scale = np.sqrt(weight) / np.maximum(length, 1e-300)
+            out |= {f"c{i}_{b}": g * (scale[:, None] if self.unit_norm else scale) for b, g in found.items()}
+        return out
+
+
+def _over_checkpoints(unit_norm: bool):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        c = prepare(spark, sf_dir)
+        models = c.checkpoints[3::4]
+        own = CheckpointSum(models, [m.rate / RATE for m in models], unit_norm)
+        spec = IndexSpec(own.blocks, TwoSided(11, SIDE, SIDE), eps=1e-10, moment={"each": None})
+        sides = [gradients.build_index(df, own, spec) for df in (c.candidates, c.queries.withColumn(ID, F.col("query_id")))]
+        return scoring.score_top_k(*sides, unit_norm=False)
+
+    return run
+
+
+def lm_checkpoint_sum(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Gradient products summed over real checkpoints, weighted by their step sizes."""
+    return _over_checkpoints(False)(spark, sf_dir)
+
+
+def lm_checkpoint_sum_normalised(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same over gradients of unit length."""
+    return _over_checkpoints(True)(spark, sf_dir)
+
+
+def lm_index_reuse(spark: SparkSession, sf_dir: str, blocks=("w2", "w3")) -> DataFrame:
+    """An index that is written once and read back, all of it and two layers alone: rankings of both scans."""
     c = prepare(spark, sf_dir)
-    ranked = [
-        c.study(model=m).run("mixed_cosine").withColumn("ckpt", F.lit(i + 1))
-        for i, m in enumerate(c.checkpoints)
-        if (i + 1) % every == 0
-    ]
-    return measures.mrr_recall(reduce(DataFrame.unionByName, ranked), c.verdicts(), c.queries, by=["ckpt"])
+    study, folder = c.study(), shared_folder(spark, "index")
+    spec = study.spec.with_(moment=study.moment)
+    gradients.write_index(gradients.build_index(study.candidates, study.model, spec), folder)
+    queries = study.keep(gradients.build_index(study.queries, study.model, spec))
+    whole = scoring.score_top_k(gradients.read_index(spark, folder), queries)
+    some = scoring.score_top_k(gradients.read_index(spark, folder, list(blocks)), queries.select(ID, *blocks))
+    return whole.withColumn("layers", F.lit("all")).unionByName(some.withColumn("layers", F.lit("+".join(blocks))))
 
 
 def output_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -175,7 +252,9 @@ def lm_mixed_cosine_top10(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def lm_gradients_index(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return prepare(spark, sf_dir).study().indexes(True)[0]
+    """Length of every candidate's gradient, block by block, from the written index."""
+    index = prepare(spark, sf_dir).study().indexes(True)[0]
+    return index.select(ID, *[F.round(vec_norm(F.col(n)), 6).alias(n) for n in tiny_lm.BLOCKS])
 
 
 def lm_tail_patch(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -192,32 +271,46 @@ def gold_tail_patch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.tail_patch(c.patched(fx.gold_rankings(c.facts)))
 
 
-def wrong_predictions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """For wrongly answered queries, with the model's own answer as target: do hits entail the answer?"""
+def influence_categories(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the method's proponents hold, by decade of the fact's frequency: category shares and target match."""
     c = prepare(spark, sf_dir)
-    said = c.said()
-    aliased = c.facts.withColumn("aliases", F.array("object"))
-    correct = measures.accuracy(said, aliased)
+    return _by_decade(headroom.categorise(c.study().run("mixed_cosine"), c.corpus, c.facts, c.verdicts()), c.facts)
+
+
+def _by_decade(categorised: DataFrame, facts: DataFrame) -> DataFrame:
+    decades = facts.select(F.col("fact_id").alias("query_id"), "decade")
+    match = categorised.join(decades, "query_id").groupBy("decade").agg(F.avg(F.col("target_match").cast("double")).alias("target_match"))
+    return headroom.by_frequency(categorised, facts).join(match, "decade")
+
+
+def _wrong(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Categorised proponents of the model's own wrong answers, verdicts on all answers, and the facts answered."""
+    c = prepare(spark, sf_dir)
+    correct = _keep(measures.accuracy(c.said(), c.facts.withColumn("aliases", F.array("object"))))
     own = correct.filter(~F.col("correct")).join(c.queries.select("query_id", "prompt"), "query_id")
     asked = tiny_lm.encode(own.withColumn("text", F.concat_ws(" ", "prompt", "prediction")), c.vocab, "prompt")
     study = c.study()
     study.queries = asked.withColumn(ID, F.col("query_id"))
     answered = c.facts.join(own.select("fact_id", "prediction"), "fact_id").withColumn("object", F.col("prediction"))
-    ranked = study.run("mixed_cosine")
-    words = c.corpus.select(ID, "subject", "relation", fx_normal("object"))
+    words = c.corpus.select(ID, "subject", "relation", normalise(F.col("object")).alias("object"))
     verdicts = (
-        answered.select(F.col("fact_id").alias("query_id"), "subject", "relation", fx_normal("object"))
+        answered.select(F.col("fact_id").alias("query_id"), "subject", "relation", normalise(F.col("object")).alias("object"))
         .join(words, ["subject", "relation", "object"])
         .select("query_id", ID, F.lit(True).alias("entails"))
     )
-    categorised = headroom.categorise(ranked, c.corpus, answered, verdicts)
-    return headroom.wrong_predictions(categorised, correct)
+    return _keep(headroom.categorise(study.run("mixed_cosine"), c.corpus, answered, verdicts)), correct, answered
 
 
-def fx_normal(col: str):
-    from ..functions.textops import normalise
+def wrong_predictions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """For wrongly answered queries, with the model's own answer as target: do hits entail the answer?"""
+    categorised, correct, _ = _wrong(spark, sf_dir)
+    return headroom.wrong_predictions(categorised, correct)
 
-    return normalise(F.col(col)).alias(col)
+
+def wrong_prediction_categories(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Categories of what is found for the model's own wrong answers."""
+    categorised, _, answered = _wrong(spark, sf_dir)
+    return _by_decade(categorised, answered)
 
 
 def fact_accuracy(spark: SparkSession, sf_dir: str, sizes=("s", "m")) -> DataFrame:
@@ -231,28 +324,80 @@ def fact_accuracy(spark: SparkSession, sf_dir: str, sizes=("s", "m")) -> DataFra
     return reduce(DataFrame.unionByName, out)
 
 
+def split_passages(docs: DataFrame, most: int = PASSAGE) -> DataFrame:
+    """Texts (example_id, text) of more words than that become several passages with ids of their own."""
+    words = F.split(F.trim(F.coalesce("text", F.lit(""))), r"\s+")
+    starts = F.sequence(F.lit(0), F.greatest(F.size("ws") - 1, F.lit(0)), F.lit(most))
+    cut = docs.select(ID, "text", words.alias("ws")).select(ID, "text", "ws", F.posexplode(starts).alias("nth", "start"))
+    part = F.when(F.size("ws") <= most, F.coalesce("text", F.lit(""))).otherwise(F.array_join(F.slice("ws", F.col("start") + 1, F.lit(most)), " "))
+    return cut.select((F.col(ID) * (1 << 20) + F.col("nth")).alias(ID), F.col(ID).alias("doc_id"), part.alias("text"))
+
+
+def _open(spark: SparkSession, sf_dir: str) -> Closed:
+    """Passages as candidates, benchmark halves as prompt and target, and a model trained on the passages."""
+    docs = written(spark, (sf_dir, "passages"), lambda: split_passages(text.passages(spark, sf_dir)))
+    items = text.items(spark, sf_dir)
+    key = (spark.sparkContext.applicationId, sf_dir, "open")
+    if key not in _trained:
+        vocab = tiny_lm.vocabulary(docs, VOCAB)
+        candidates = tiny_lm.encode(docs, vocab).select(ID, "tokens", "target_from")
+        candidates = written(spark, (sf_dir, "open-candidates"), lambda: candidates)
+        _trained[key] = (vocab, tiny_lm.fit(candidates, VOCAB, SIZE, rounds=4, rate=RATE))
+    vocab, models = _trained[key]
+    candidates = written(spark, (sf_dir, "open-candidates"), lambda: tiny_lm.encode(docs, vocab).select(ID, "tokens", "target_from"))
+    return Closed(items, docs, candidates, _keep(tiny_lm.encode(items, vocab, "prompt")), vocab, models)
+
+
+def _open_verdicts(c: Closed, ranked: DataFrame) -> DataFrame:
+    frequencies = _keep(lexical.doc_freq(lexical.postings(c.corpus)))
+    return _keep(judge.judge(ranked.select("query_id", ID), c.corpus, c.facts, frequencies, c.corpus.agg(F.count(F.lit(1)).alias("n"))))
+
+
 def open_set(spark: SparkSession, sf_dir: str, methods=("mixed_cosine", "gradient_cosine", "gradient_dot")) -> DataFrame:
-    """Passages as candidates, benchmark halves as prompt and target; hits are judged by sentence windows."""
-    docs, items = text.passages(spark, sf_dir), text.items(spark, sf_dir)
-    vocab = tiny_lm.vocabulary(docs, VOCAB)
-    candidates = _keep(tiny_lm.encode(docs, vocab).select(ID, "tokens", "target_from"))
-    queries = _keep(tiny_lm.encode(items, vocab, "prompt"))
-    model = tiny_lm.fit(candidates, VOCAB, SIZE, rounds=4, rate=RATE)[-1]
-    c = Closed(items, docs, candidates, queries, vocab, [model])
-    ranked = c.study(lam=OPEN_SET_LAMBDA).run_all(list(methods))
+    """Retrieval among passages of at most 2048 words; hits are judged by sentence windows."""
+    c = _open(spark, sf_dir)
     rest = [
-        lexical.bm25(docs, items).withColumn("preset", F.lit("bm25")),
-        lexical.dense_text(docs, items).withColumn("preset", F.lit("dense_cosine")),
+        lexical.bm25(c.corpus, c.facts).withColumn("preset", F.lit("bm25")),
+        lexical.dense_text(c.corpus, c.facts).withColumn("preset", F.lit("dense_cosine")),
     ]
-    ranked = _keep(reduce(DataFrame.unionByName, rest, ranked))
-    weights = lexical.doc_freq(lexical.postings(docs))
-    from ..operators import judge
-
-    verdicts = judge.judge(ranked.select("query_id", ID), docs, items, weights, docs.agg(F.count(F.lit(1)).alias("n")))
-    found = measures.mrr_recall(ranked, verdicts, items, by=["preset"])
+    ranked = _keep(reduce(DataFrame.unionByName, rest, c.study(lam=OPEN_SET_LAMBDA).run_all(list(methods))))
+    found = measures.mrr_recall(ranked, _open_verdicts(c, ranked), c.facts, by=["preset"])
     return found.join(measures.tail_patch(c.patched(ranked), by=["preset"]), "preset")
 
 
+def open_categories(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the method's proponents among passages hold of prompt and target; no passage is too long to count."""
+    c = _open(spark, sf_dir)
+    ranked = _keep(c.study(lam=OPEN_SET_LAMBDA).run("mixed_cosine"))
+    asked = c.facts.select(F.col("query_id").alias("fact_id"), F.col("prompt").alias("subject"), F.col("target").alias("object"))
+    found = headroom.categorise(ranked, c.corpus, asked, _open_verdicts(c, ranked))
+    shares = found.groupBy("category").agg(F.count(F.lit(1)).alias("n"), F.avg(F.col("target_match").cast("double")).alias("target_match"))
+    return shares.withColumn("share", F.col("n") / F.sum("n").over(Window.partitionBy(F.lit(0))))
+
+
+def open_length_bias(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Words and repeated lines of what gradients retrieve with and without unit norm."""
+    c = _open(spark, sf_dir)
+    ranked = c.study(lam=OPEN_SET_LAMBDA).run_all(["gradient_cosine", "gradient_dot"])
+    return headroom.length_bias(ranked, c.corpus, "preset")
+
+
+def dialogue_influence(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which replies of other conversations move a reply: rankings for conversations whose id is divisible by 100.
+
+    Candidates are all pairs of a user turn and the reply, prompts masked; no reply is its own proponent's query.
+    """
+    pairs = written(spark, (sf_dir, "dialogue"), lambda: text.dialogue(spark, sf_dir))
+    key = (spark.sparkContext.applicationId, sf_dir, "dialogue")
+    if key not in _trained:
+        vocab = tiny_lm.vocabulary(pairs, VOCAB)
+        _trained[key] = (vocab, tiny_lm.fit(tiny_lm.encode(pairs, vocab, "prompt"), VOCAB, "s", rounds=4, rate=RATE))
+    vocab, models = _trained[key]
+    coded = _keep(tiny_lm.encode(pairs, vocab, "prompt").select(ID, F.col(ID).alias("query_id"), "conv_id", "tokens", "target_from"))
+    c = Closed(pairs, pairs, coded, coded.filter(F.col("conv_id") % 100 == 0), vocab, models)
+    return c.study().run("mixed_cosine")
+
+
 def label_influence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Which labelled documents move the quality and toxicity heads for those whose id is divisible by 100."""
     from ..models.probe import LogisticProbe
@@ -289,7 +434,8 @@ QUERIES = {
     f.__name__: f
     for f in (
         lm_gradients_index, lm_mixed_cosine_top10, lm_tail_patch, lm_tail_patch_by_k, closed_set, small_pool, rerank_bm25, ablation, dimension_sweep, training_curve,
-        output_functions, lambda_sweep, gold_tail_patch, wrong_predictions, fact_accuracy, open_set, label_influence, examples,
+        output_functions, lambda_sweep, gold_tail_patch, wrong_predictions, fact_accuracy, open_set, label_influence, examples, lm_checkpoint_sum,
+        lm_checkpoint_sum_normalised, lm_index_reuse, influence_categories, wrong_prediction_categories, open_categories, open_length_bias, dialogue_influence,
     )
 }
 ORACLE_SQL: dict[str, str] = {}

@@ -11,12 +11,13 @@ from ..models.probe import SoftmaxProbe, matrix
 from ..operators import curvature, gradients, scoring
 from ..operators.gradients import ID, IndexSpec
 from ..operators.measures import fidelity
-from ..operators.presets import PRESETS, Study
+from ..operators.presets import GRID, PRESETS, Study
 from ..operators.projection import Identity, OneSided, QueryBasis, TwoSided
 from ..sources import catalog
 
 SCALE, EPS, DAMPING, LAM, SEED = 8.0, 1e-8, 1e-6, 0.9, 7
-K_OUT, K_IN, N_QUERIES, TOP = 4, 4, 50, 10
+K_OUT, K_IN, EVERY, TOP = 4, 4, 100, 10
+BETA, SAMPLED = 0.9, 25
 
 
 def _candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,7 +26,8 @@ def _candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _queries(candidates: DataFrame) -> DataFrame:
-    return candidates.filter(F.col(ID) < N_QUERIES)
+    """Every row whose id is divisible by 100."""
+    return candidates.filter(F.col(ID) % EVERY == 0)
 
 
 def _probe(candidates: DataFrame) -> SoftmaxProbe:
@@ -37,7 +39,7 @@ def _spec(projection=None, **more) -> IndexSpec:
 
 
 def study(spark: SparkSession, sf_dir: str, block_size: int = 2) -> Study:
-    """Mixed-cosine study of the probe: every embedding a candidate, the first 50 as queries."""
+    """Mixed-cosine study of the probe: every embedding a candidate, ids divisible by 100 as queries."""
     candidates = _candidates(spark, sf_dir)
     probe = _probe(candidates)
     moment = gradients.diagonal_moment(candidates, probe)
@@ -111,7 +113,7 @@ def _curvature_sql(hessian: str, size: int) -> str:
                ON a.vec_id = b.vec_id AND a.i // {size} = b.i // {size} GROUP BY 1, 2, 3"""
     return f""",
         rt AS ({pair.format('ix')}),
-        qx AS (SELECT * FROM ix WHERE vec_id < {N_QUERIES}),
+        qx AS (SELECT * FROM ix WHERE vec_id % {EVERY} = 0),
         re AS ({pair.format('qx')}),
         rm AS ({pick})"""
 
@@ -145,7 +147,7 @@ def _scores_sql(hessian: str, unit_norm: bool, size: int, sign: str = "") -> str
         nm AS (SELECT vec_id, sqrt(sum(y * w)) AS n FROM ix JOIN y USING (vec_id, i) GROUP BY 1),
         sc AS (SELECT y.vec_id AS query_id, ix.vec_id AS example_id, {sign}round({score}, 8) AS score
                FROM y JOIN ix USING (i) JOIN nm nq ON nq.vec_id = y.vec_id JOIN nm ON nm.vec_id = ix.vec_id
-               WHERE y.vec_id < {N_QUERIES} GROUP BY 1, 2)"""
+               WHERE y.vec_id % {EVERY} = 0 GROUP BY 1, 2)"""
 
 
 def _top_sql(order: str = "DESC", k: int = TOP) -> str:
@@ -325,21 +327,50 @@ def score_prob_factor(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(scoring.score_top_k(index, queries, TOP, inverse, unit_norm=False, factor="q"))
 
 
-def score_over_checkpoints(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sum of plain gradient products over three softness settings standing for checkpoints."""
+SETTINGS = ((2.0, 1.0), (4.0, 0.5), (8.0, 0.25))
+
+
+def _over_settings(spark: SparkSession, sf_dir: str, unit_norm: bool) -> DataFrame:
     candidates = _candidates(spark, sf_dir)
     parts = []
-    for scale in (2.0, 4.0, 8.0):
+    for scale, _ in SETTINGS:
         probe = SoftmaxProbe.from_means(candidates, scale)
         index = gradients.build_index(candidates, probe, _spec())
-        parts.append(scoring.all_scores(index, index.filter(F.col(ID) < N_QUERIES)))
-    return _rounded(scoring.top_k(scoring.over_checkpoints(parts, [1.0, 0.5, 0.25]), TOP))
+        parts.append(scoring.all_scores(index, _queries(index), unit_norm))
+    return _rounded(scoring.top_k(scoring.over_checkpoints(parts, [w for _, w in SETTINGS]), TOP))
+
+
+def score_over_checkpoints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weighted sum of gradient products over three softness settings of the probe, which is never trained.
+
+    Checkpoints of a trained model are summed by `lm_checkpoint_sum`.
+    """
+    return _over_settings(spark, sf_dir, False)
+
+
+def score_over_checkpoints_normalised(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same over gradients of unit length."""
+    return _over_settings(spark, sf_dir, True)
+
+
+def moment_moving_average(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exponential average of second moments along the three settings, corrected for its start."""
+    candidates = _candidates(spark, sf_dir)
+    moments = [gradients.diagonal_moment(candidates, SoftmaxProbe.from_means(candidates, scale)) for scale, _ in SETTINGS]
+    return _moment_table(spark, gradients.moving_average(moments, BETA)).withColumn("v", F.round("v", 8))
+
+
+def score_subsampled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Cosine over a hashed quarter of the candidates: the practice of scoring a sample."""
+    index = _index(spark, sf_dir)
+    place = F.conv(F.substring(F.md5(F.concat(F.lit("sample:"), F.col(ID).cast("string"))), 1, 8), 16, 10).cast("long") % 100
+    return _rounded(scoring.score_top_k(index.filter(place < SAMPLED), _queries(index), TOP))
 
 
 def score_layer_subset(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cosine on the first half of the block alone, a pruned scan of the index."""
+    """Cosine on the first half of the projected block alone; whole layers are left out by `lm_index_reuse`."""
     index = _index(spark, sf_dir).select(ID, F.slice("b0", 1, 8).alias("b0"))
-    return _rounded(scoring.score_top_k(index, index.filter(F.col(ID) < N_QUERIES), TOP))
+    return _rounded(scoring.score_top_k(index, _queries(index), TOP))
 
 
 def lambda_choice_diag(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -442,7 +473,7 @@ def projection_fidelity(spark: SparkSession, sf_dir: str) -> DataFrame:
     scores = {}
     for name, p in projections.items():
         index = gradients.build_index(candidates, probe, _spec(p, moment=own))
-        scores[name] = scoring.all_scores(index, index.filter(F.col(ID) < N_QUERIES), unit_norm=True)
+        scores[name] = scoring.all_scores(index, _queries(index), unit_norm=True)
     out = None
     for name in list(projections)[1:]:
         part = fidelity(scores[name], scores["exact"]).withColumn("projection", F.lit(name))
@@ -477,9 +508,23 @@ _CHECKPOINTS_SQL = """
     rx AS (SELECT vec_id, b, sum(u * x) AS u FROM x JOIN rb USING (j) GROUP BY 1, 2),
     ix AS (SELECT s, vec_id, a, b, l * u AS w FROM lr JOIN rx USING (vec_id)),
     one AS (SELECT q.s, q.vec_id AS query_id, m.vec_id AS example_id, round(sum(q.w * m.w), 8) AS v
-            FROM ix q JOIN ix m USING (s, a, b) WHERE q.vec_id < %d GROUP BY 1, 2, 3),
+            FROM ix q JOIN ix m USING (s, a, b) WHERE q.vec_id %% 100 = 0 GROUP BY 1, 2, 3),
     sc AS (SELECT query_id, example_id, round(sum(k * v), 8) AS score FROM one JOIN ck USING (s) GROUP BY 1, 2)
-""" % (_gauss("w:out", "a.range", "c", K_OUT), K_OUT, _gauss("w:in", "b.range", "j", K_IN), K_IN, N_QUERIES)
+""" % (_gauss("w:out", "a.range", "c", K_OUT), K_OUT, _gauss("w:in", "b.range", "j", K_IN), K_IN)
+
+_NORMALISED_SQL = _CHECKPOINTS_SQL.replace(
+    "one AS (SELECT", "ln AS (SELECT s, vec_id, sqrt(sum(w * w)) AS n FROM ix GROUP BY 1, 2),\n    one AS (SELECT"
+).replace("round(sum(q.w * m.w), 8) AS v", "round(sum(q.w * m.w) / (any_value(a.n) * any_value(b.n)), 8) AS v").replace(
+    "FROM ix q JOIN ix m USING (s, a, b) WHERE q.vec_id",
+    "FROM ix q JOIN ix m USING (s, a, b) JOIN ln a ON a.s = q.s AND a.vec_id = q.vec_id JOIN ln b ON b.s = q.s AND b.vec_id = m.vec_id WHERE q.vec_id",
+).replace("USING (s, a, b) JOIN", "ON m.s = q.s AND m.a = q.a AND m.b = q.b JOIN")
+
+_AVERAGE_SQL = (
+    _CHECKPOINTS_SQL.split("la AS (")[0]
+    + f"""ms AS (SELECT s, c, j, avg(r * x * r * x) AS m FROM r JOIN x USING (vec_id) GROUP BY 1, 2, 3)
+    SELECT c::BIGINT AS "class", j AS dim, round(sum(m * (1 - {BETA}) * CASE s WHEN 2.0 THEN {BETA} * {BETA} WHEN 4.0 THEN {BETA} ELSE 1 END)
+           / (1 - {BETA} * {BETA} * {BETA}), 8) AS v FROM ms GROUP BY 1, 2"""
+)
 
 _INDEX_SQL = " SELECT vec_id AS example_id, i, round(w, 6) AS w FROM ix"
 _FLAT_SQL = " SELECT vec_id AS example_id, c * (SELECT count(DISTINCT j) FROM wt) + j AS i, round(g, 6) AS w FROM h"
@@ -534,6 +579,10 @@ QUERIES = {
     "score_bilinear_diag": score_bilinear_diag,
     "score_over_checkpoints": score_over_checkpoints,
     "score_layer_subset": score_layer_subset,
+    "score_over_checkpoints_normalised": score_over_checkpoints_normalised,
+    "moment_moving_average": moment_moving_average,
+    "score_subsampled": score_subsampled,
+    **{f"score_{name}": _ranking(name) for name in GRID.values() if name.startswith(("x_plain", "x_moment"))},
     "lambda_choice_diag": lambda_choice_diag,
     "probe_leave_one_out": probe_leave_one_out,
     "index_footprint": index_footprint,
@@ -590,6 +639,12 @@ ORACLE_SQL = {
     + _top_sql(),
     "score_bilinear_diag": _chain() + _curvature_sql("train", 1) + _inverse_sql(1) + _scores_sql("train", False, 1, "-") + _top_sql("ASC"),
     "score_over_checkpoints": _CHECKPOINTS_SQL + _top_sql(),
+    "score_over_checkpoints_normalised": _NORMALISED_SQL + _top_sql(),
+    "moment_moving_average": _AVERAGE_SQL,
+    "score_subsampled": _chain()
+    + _scores_sql("none", True, 2)
+    + _top_sql().replace("FROM sc)", f"FROM sc WHERE ('0x' || substr(md5('sample:' || example_id), 1, 8))::BIGINT % 100 < {SAMPLED})"),
+    **{f"score_{name}": _ranking_sql(name) for name in GRID.values() if name.startswith(("x_plain", "x_moment"))},
     "score_layer_subset": _chain().replace("GROUP BY 1, 2)", "GROUP BY 1, 2)") .replace("WHERE b < 4 GROUP", "WHERE b < 4 AND a * 4 + b < 8 GROUP")
     + _scores_sql("none", True, 2)
     + _top_sql(),
@@ -599,7 +654,7 @@ ORACLE_SQL = {
     "index_footprint": f"SELECT count(*) AS n_examples, {K_OUT * K_IN}::BIGINT AS dim, (count(*) * {K_OUT * K_IN * 4})::BIGINT AS index_bytes FROM embeddings",
     "probe_leave_one_out": _chain()
     + f""", nc AS (SELECT label AS c, count(*) AS n FROM e GROUP BY 1),
-        qd AS (SELECT q.vec_id AS query_id, m.vec_id AS example_id, m.label AS mc, sum(q.x * m.x) AS d FROM x q JOIN x m USING (j) WHERE q.vec_id < {N_QUERIES} GROUP BY 1, 2, 3),
+        qd AS (SELECT q.vec_id AS query_id, m.vec_id AS example_id, m.label AS mc, sum(q.x * m.x) AS d FROM x q JOIN x m USING (j) WHERE q.vec_id % {EVERY} = 0 GROUP BY 1, 2, 3),
         lz AS (SELECT query_id, example_id, z.c, (z.label = z.c)::INT AS hit, z.z AS z0, CASE WHEN z.c = mc THEN (n * z.z - {SCALE} * d) / (n - 1) ELSE z.z END AS z
                FROM qd JOIN z ON z.vec_id = query_id JOIN nc ON nc.c = mc),
         sc AS (SELECT query_id, example_id, round(ln(sum(exp(z))) - sum(z * hit) - ln(sum(exp(z0))) + sum(z0 * hit), 8) AS score FROM lz GROUP BY 1, 2)"""

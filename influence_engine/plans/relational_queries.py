@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions import vectors
 from ..functions.textops import html_text
 from ..operators import relational as ops
 from ..operators.gradients import ID
+from ..operators.work import shared_folder
 from ..sources import catalog
 from . import text
 
@@ -17,9 +19,10 @@ def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op_range_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents in bands of length, by a bucketed equi-join."""
-    bands = spark.createDataFrame([(i, 400 * i, 400 * i + 600) for i in range(40)], "band long, low long, high long")
+    """Documents in bands of length, by a bucketed equi-join; there are bands up to the longest text."""
     docs = catalog.load(spark, sf_dir, "documents").select("doc_id", "n_chars")
+    longest = docs.agg(F.max("n_chars")).first()[0] or 0
+    bands = spark.range(longest // 400 + 1).select(F.col("id").alias("band"), (400 * F.col("id")).alias("low"), (400 * F.col("id") + 600).alias("high"))
     joined = ops.band_join(docs, bands, "n_chars", "low", "high", 500)
     return joined.groupBy("band").agg(F.count(F.lit(1)).alias("n"), F.sum("n_chars").alias("chars"))
 
@@ -103,11 +106,56 @@ def op_interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ops.within(events.filter("event_type = 'click'"), events.filter("event_type = 'purchase'"), "user_id", "ts", 600, "event_id")
 
 
+def op_order_years(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders by year, quarter and first day of the month, with days until the year's end."""
+    day = F.to_date("o_orderdate")
+    orders = catalog.load(spark, sf_dir, "orders").withColumn("year", F.year(day)).withColumn("quarter", F.quarter(day))
+    left = F.date_diff(F.make_date(F.col("year") + 1, F.lit(1), F.lit(1)), day)
+    return orders.groupBy("year", "quarter", F.date_format(F.trunc(day, "month"), "yyyy-MM-dd").alias("month")).agg(
+        F.count(F.lit(1)).alias("n"), F.min(left).cast("long").alias("days_left")
+    )
+
+
+def op_bucket_ts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events in quarters of an hour."""
+    events = _events(spark, sf_dir)
+    start = F.window(F.col("ts").cast("timestamp"), "15 minutes")["start"]
+    return events.groupBy("event_type", F.date_format(start, "yyyy-MM-dd HH:mm:ss").alias("start")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def op_ranking_sink(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rankings of priorities kept in folders by method, appended in two writes; one method is read back, pruned."""
+    folder = shared_folder(spark, "rankings")
+    orders = catalog.load(spark, sf_dir, "orders").select("o_orderpriority", "o_orderkey", "o_totalprice")
+    for method, order in (("dearest", F.desc("o_totalprice")), ("cheapest", F.asc("o_totalprice"))):
+        nth = F.row_number().over(Window.partitionBy("o_orderpriority").orderBy(order, "o_orderkey"))
+        best = orders.withColumn("rank", nth).filter(F.col("rank") <= 10).withColumn("method", F.lit(method))
+        best.write.mode("append").partitionBy("method").parquet(folder)
+    return spark.read.parquet(folder).filter("method = 'cheapest'").select("o_orderpriority", "rank", "o_orderkey")
+
+
+def op_sql_surface(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Views, registered vector functions and named parameters from SQL."""
+    vectors.register(spark)
+    catalog.load(spark, sf_dir, "embeddings").createOrReplaceTempView("idx_embeddings")
+    return spark.sql(
+        """SELECT q.vec_id AS query_id, m.vec_id AS example_id, round(vec_dot(cast(q.embedding AS array<double>), cast(m.embedding AS array<double>)), 6) AS score
+           FROM idx_embeddings q JOIN idx_embeddings m ON q.label = m.label AND q.vec_id <> m.vec_id WHERE q.vec_id % :every = 0""",
+        args={"every": 100},
+    )
+
+
+def op_sort_limit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The hundred dearest orders: each task keeps a hundred."""
+    orders = catalog.load(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice")
+    return orders.orderBy(F.desc("o_totalprice"), "o_orderkey").limit(100)
+
+
 QUERIES = {
     f.__name__: f
     for f in (
         op_range_join, op_asof, op_semi_anti, op_setops, op_pivot, op_unpivot, op_json, op_event_windows, op_session, op_ranking_windows,
-        op_html_text, op_quantiles, op_interval_join,
+        op_html_text, op_quantiles, op_interval_join, op_order_years, op_bucket_ts, op_ranking_sink, op_sql_surface, op_sort_limit,
     )
 }
 
@@ -115,7 +163,15 @@ _PIVOT = """SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS "F"
     count(*) FILTER (o_orderstatus = 'P') AS "P" FROM orders GROUP BY 1"""
 
 ORACLE_SQL = {
-    "op_range_join": """SELECT i AS band, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents JOIN range(40) r(i)
+    "op_order_years": """SELECT year(d)::INT AS year, quarter(d)::INT AS quarter, strftime(date_trunc('month', d), '%Y-%m-%d') AS month, count(*) AS n,
+        min(date_diff('day', d, make_date(year(d) + 1, 1, 1)))::BIGINT AS days_left FROM (SELECT o_orderdate::DATE AS d FROM orders) GROUP BY 1, 2, 3""",
+    "op_bucket_ts": "SELECT event_type, strftime(time_bucket(INTERVAL 15 MINUTES, ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM events GROUP BY 1, 2",
+    "op_ranking_sink": """SELECT o_orderpriority, rank::INT AS rank, o_orderkey FROM (SELECT o_orderpriority, o_orderkey,
+        row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice, o_orderkey) AS rank FROM orders) WHERE rank <= 10""",
+    "op_sql_surface": """SELECT q.vec_id AS query_id, m.vec_id AS example_id, round(list_dot_product(q.embedding::DOUBLE[], m.embedding::DOUBLE[]), 6) AS score
+        FROM embeddings q JOIN embeddings m ON q.label = m.label AND q.vec_id <> m.vec_id WHERE q.vec_id % 100 = 0""",
+    "op_sort_limit": "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 100",
+    "op_range_join": """SELECT i AS band, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents JOIN range((SELECT max(n_chars) // 400 + 1 FROM documents)) r(i)
         ON n_chars BETWEEN 400 * i AND 400 * i + 600 GROUP BY 1""",
     "op_asof": """SELECT e.event_id, last_value(CASE WHEN event_type = 'error' THEN event_id END IGNORE NULLS) OVER
         (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS error_id FROM events e""",

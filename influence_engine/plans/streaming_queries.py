@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,17 +9,12 @@ from pyspark.sql import functions as F
 
 from ..operators import gradients
 from ..operators.gradients import ID
+from ..operators.work import shared_folder
 from ..sources import catalog
 from ..streaming import jobs
 from . import probe
 
 
-def shared_folder(spark: SparkSession, tag: str) -> str:
-    """A fresh folder in the cluster's shared one; a local one only where none is set."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + os.path.join(tempfile.gettempdir(), "influence_engine_work")
-    return f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
-
-
 def _arriving(spark: SparkSession, sf_dir: str, name: str, folder: str, parts: int = 3) -> DataFrame:
     catalog.load(spark, sf_dir, name).repartition(parts).write.parquet(f"{folder}/{name}")
     return jobs.file_source(spark, f"{folder}/{name}", catalog.SCHEMAS[name])
@@ -81,9 +74,76 @@ def stream_event_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return last.select("event_type", F.col("start").cast("string").alias("start"), "v.n", F.round("v.moment", 6).alias("moment"))
 
 
-QUERIES = {f.__name__: f for f in (stream_index_batchcheck, stream_curvature, stream_running_topk, stream_event_windows)}
+def _in_batches(found: DataFrame, folder: str, mode: str) -> DataFrame:
+    """What each batch of a stream gives, with the batch's number."""
+    q = found.writeStream.outputMode(mode).foreachBatch(lambda b, i: b.write.mode("overwrite").parquet(f"{folder}/out/batch={i}"))
+    q.option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    return found.sparkSession.read.parquet(f"{folder}/out")
+
+
+def stream_sliding_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Second moment in windows of an hour that start every half hour, by a stream."""
+    folder = shared_folder(spark, "stream-sliding")
+    moments = jobs.windowed_moment(jobs.event_times(_arriving(spark, sf_dir, "events", folder), "30 days"), "1 hour", "30 minutes")
+    seen = _in_batches(moments, folder, "update")
+    last = seen.groupBy("event_type", "start").agg(F.max_by(F.struct("n", "moment"), "batch").alias("v"))
+    return last.select("event_type", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "v.n", F.round(F.col("v.moment") * F.col("v.n"), 4).alias("squares"))
+
+
+def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sessions of each user, closed by half an hour without events, by a stream in complete mode."""
+    folder = shared_folder(spark, "stream-sessions")
+    events = _arriving(spark, sf_dir, "events", folder).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "30 days")
+    seen = _in_batches(jobs.session_counts(events), folder, "complete")
+    newest = seen.agg(F.max("batch")).first()[0]
+    return seen.filter(F.col("batch") == newest).select("user_id", F.date_format("start", "yyyy-MM-dd HH:mm:ss.SSSSSS").alias("start"), "n")
+
+
+def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Arriving line items beside the static suppliers, summed by nation."""
+    folder = shared_folder(spark, "stream-static")
+    suppliers = catalog.load(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("l_suppkey"), "s_nationkey")
+    joined = jobs.with_static(_arriving(spark, sf_dir, "lineitem", folder), suppliers, "l_suppkey")
+    seen = jobs.collect_stream(joined.select("s_nationkey", "l_quantity"), f"{folder}/state", f"{folder}/out")
+    return seen.groupBy("s_nationkey").agg(F.count(F.lit(1)).alias("n"), F.sum("l_quantity").alias("quantity"))
+
+
+def stream_followed_by(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Purchases within ten minutes after a click of the same user, by a join of two streams."""
+    folder = shared_folder(spark, "stream-joined")
+    events = jobs.event_times(_arriving(spark, sf_dir, "events", folder), "30 days")
+    found = jobs.followed_by(events.filter("event_type = 'click'"), events.filter("event_type = 'purchase'"))
+    return jobs.collect_stream(found, f"{folder}/state", f"{folder}/out")
+
+
+def stream_doc_freq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Document frequencies and lengths kept up from batches of arriving passages: sums merge exactly."""
+    folder = shared_folder(spark, "stream-df")
+    docs = _arriving(spark, sf_dir, "documents", folder).select(F.col("doc_id").alias(ID), "text")
+    jobs.per_batch(docs, f"{folder}/state", jobs.term_sums(f"{folder}/terms")).awaitTermination()
+    return spark.read.parquet(f"{folder}/terms").groupBy("term").agg(F.sum("df").alias("df"), F.sum("tf").alias("tf"))
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (
+        stream_index_batchcheck, stream_curvature, stream_running_topk, stream_event_windows, stream_sliding_windows, stream_sessions, stream_static_join,
+        stream_followed_by, stream_doc_freq,
+    )
+}
 
 ORACLE_SQL = {
+    "stream_sliding_windows": """SELECT event_type, strftime(s, '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n, round(sum(value * value), 4) AS squares FROM
+        (SELECT event_type, value, time_bucket(INTERVAL 30 MINUTES, ts) - k * INTERVAL 30 MINUTES AS s FROM events, range(2) t(k)) GROUP BY 1, 2""",
+    "stream_sessions": """SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S.%f') AS start, count(*) AS n FROM
+        (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM
+         (SELECT *, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) >= INTERVAL 30 MINUTES, true)::INT AS fresh FROM events))
+        GROUP BY user_id, session""",
+    "stream_static_join": "SELECT s_nationkey, count(*) AS n, sum(l_quantity) AS quantity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1",
+    "stream_followed_by": """SELECT a.event_id AS left_id, b.event_id AS right_id FROM events a JOIN events b ON a.user_id = b.user_id
+        AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 10 MINUTES""",
+    "stream_doc_freq": """SELECT term, count(DISTINCT doc_id) AS df, count(*) AS tf FROM
+        (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+')) AS term FROM documents) GROUP BY 1""",
     "stream_index_batchcheck": probe._chain() + " SELECT i::BIGINT AS i, count(*) AS n, round(sum(w * w), 4) AS squares FROM ix GROUP BY 1",
     "stream_curvature": probe._chain()
     + probe._curvature_sql("train", 2)

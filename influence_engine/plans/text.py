@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.textops import tokenise
+from ..functions.textops import tf_map, tokenise
 from ..operators import facts as fx
 from ..operators import headroom, judge, lexical, measures
 from ..operators.gradients import ID
+from ..operators.work import materialise, shared_folder, written
 from ..sources import catalog
 
-DIM, PER_DECADE, TARGET_CAP, SEED, DISTRACTORS = 64, 30, 20, 1, 300
+DIM, PER_DECADE, TARGET_CAP, SEED, DISTRACTORS, WRONG_CAP = 64, 30, 20, 1, 300, 50
 
 
 def passages(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -109,14 +112,24 @@ def open_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
     return items(spark, sf_dir).select("query_id", "prompt", "target")
 
 
-def dialogue_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A user turn as prompt and the assistant turn that follows as target; `target_from` counts prompt words."""
-    from pyspark.sql import Window
-
+def _replies(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = Window.partitionBy("conv_id").orderBy("turn")
     table = catalog.load(spark, sf_dir, "conversations")
     paired = table.withColumn("next_role", F.lead("role").over(turns)).withColumn("next_text", F.lead("text").over(turns))
-    return paired.filter("role = 'user' AND next_role = 'assistant'").select(
+    return paired.filter("role = 'user' AND next_role = 'assistant'")
+
+
+def dialogue(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """example_id, conv_id, prompt, target, text of every user turn and the assistant turn that follows."""
+    prompt, target = F.coalesce("text", F.lit("")), F.coalesce("next_text", F.lit(""))
+    return _replies(spark, sf_dir).select(
+        (F.col("conv_id") * 10**6 + F.col("turn")).alias(ID), "conv_id", prompt.alias("prompt"), target.alias("target"), F.concat_ws(" ", prompt, target).alias("text")
+    )
+
+
+def dialogue_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A user turn as prompt and the assistant turn that follows as target; `target_from` counts prompt words."""
+    return _replies(spark, sf_dir).select(
         "conv_id",
         "turn",
         F.md5("text").alias("prompt_digest"),
@@ -136,8 +149,18 @@ def with_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fx.frequency(unambiguous(spark, sf_dir), fx.closed_corpus(spark, sf_dir))
 
 
+def corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The closed corpus, written once for a session."""
+    return written(spark, (sf_dir, "closed-corpus"), lambda: fx.closed_corpus(spark, sf_dir))
+
+
 def sampled(spark: SparkSession, sf_dir: str, per_decade: int = PER_DECADE) -> DataFrame:
-    return fx.sample(with_frequency(spark, sf_dir), per_decade, SEED, TARGET_CAP)
+    """The sampled facts, written once for a session."""
+
+    def build() -> DataFrame:
+        return fx.sample(fx.frequency(unambiguous(spark, sf_dir), corpus(spark, sf_dir)), per_decade, SEED, TARGET_CAP)
+
+    return written(spark, (sf_dir, per_decade, "facts"), build)
 
 
 def facts_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -160,6 +183,68 @@ def facts_target_cap(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fx.sample(with_frequency(spark, sf_dir), 10**9, SEED, TARGET_CAP).select("fact_id", "object")
 
 
+def facts_cap_all_wrong(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Facts that a guess of each relation's commonest object misses are kept up to a limit; others all stay."""
+    facts = unambiguous(spark, sf_dir)
+    counts = facts.groupBy("relation", "object").agg(F.count(F.lit(1)).alias("n"))
+    first = F.row_number().over(Window.partitionBy("relation").orderBy(F.desc("n"), "object"))
+    guess = counts.withColumn("nth", first).filter("nth = 1").select("relation", F.col("object").alias("guess"))
+    correct = facts.join(guess, "relation").select("fact_id", (F.col("object") == F.col("guess")).alias("correct"))
+    return fx.cap_all_wrong(facts, correct, WRONG_CAP, SEED).select("fact_id", "object")
+
+
+def method_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How many times one method's accuracy on passages is another's."""
+    ranked = _both_methods(spark, sf_dir)
+    verdicts = _judged(spark, sf_dir, ranked.select("query_id", ID))
+    return measures.ratios(measures.mrr_recall(ranked, verdicts, items(spark, sf_dir), by=["method"]), "method", "mrr")
+
+
+def bm25_merge_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same ranking with postings and terms joined by a sort-merge join."""
+    return _out(lexical.bm25(passages(spark, sf_dir), items(spark, sf_dir), strategy="merge"))
+
+
+def selected_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Candidates of one language and of bounded length, null-safe and pushed to the scan."""
+    docs = catalog.load(spark, sf_dir, "documents")
+    return catalog.select_candidates(docs, lang="en", min_chars=500, max_chars=20_000).select("doc_id", "source", "n_chars")
+
+
+def prompt_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Prompts written as JSON, CSV, Parquet and text lines and read back by one loader."""
+    folder = shared_folder(spark, "prompts")
+    line = lambda c: F.translate(c, "\n", " ").alias(c)
+    own = items(spark, sf_dir).select("query_id", line("prompt"), line("target"))
+    own.write.json(f"{folder}/json")
+    own.write.option("header", "true").csv(f"{folder}/csv")
+    own.write.parquet(f"{folder}/parquet")
+    own.select(F.concat_ws("\t", "prompt", "target").alias("value")).write.text(f"{folder}/text")
+    found = None
+    for kind in ("json", "csv", "parquet", "text"):
+        part = catalog.load_prompts(spark, f"{folder}/{kind}", kind).select(F.lit(kind).alias("kind"), "prompt", "target")
+        found = part if found is None else found.unionByName(part)
+    return found
+
+
+def term_maps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Term frequencies of benchmark items as maps; the most frequent word of each, ties by word."""
+    table = catalog.load(spark, sf_dir, "benchmark").select("item_id", F.explode(tf_map(tokenise(F.col("text")))).alias("term", "n"))
+    best = F.min(F.struct(-F.col("n"), F.col("term")))
+    return table.groupBy("item_id").agg(F.count(F.lit(1)).alias("n_terms"), best.alias("b")).select(
+        "item_id", "n_terms", F.col("b.term").alias("term"), (-F.col("b.col1")).cast("long").alias("n")
+    )
+
+
+def bucketed_postings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Postings kept in a table bucketed by term and counted from there without a shuffle."""
+    name = f"postings_{uuid.uuid4().hex}"
+    lexical.save_postings(lexical.postings(passages(spark, sf_dir)), name, 8)
+    found = materialise(lexical.doc_freq(spark.table(name)), "bucketed")
+    spark.sql(f"DROP TABLE {name}")
+    return found
+
+
 def facts_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sampled(spark, sf_dir).select("fact_id", "decade")
 
@@ -169,7 +254,7 @@ def closed_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def closed_bm25_top10(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _out(lexical.bm25(fx.closed_corpus(spark, sf_dir), fx.queries(sampled(spark, sf_dir))))
+    return _out(lexical.bm25(corpus(spark, sf_dir), fx.queries(sampled(spark, sf_dir))))
 
 
 def closed_mrr_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -179,12 +264,12 @@ def closed_mrr_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def distractor_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return headroom.distractor_pool(sampled(spark, sf_dir), fx.closed_corpus(spark, sf_dir), DISTRACTORS, SEED)
+    return headroom.distractor_pool(sampled(spark, sf_dir), corpus(spark, sf_dir), DISTRACTORS, SEED)
 
 
 def _categorised(spark: SparkSession, sf_dir: str) -> DataFrame:
     drawn = sampled(spark, sf_dir)
-    return headroom.categorise(closed_bm25_top10(spark, sf_dir), fx.closed_corpus(spark, sf_dir), drawn, fx.gold_verdicts(drawn))
+    return headroom.categorise(closed_bm25_top10(spark, sf_dir), corpus(spark, sf_dir), drawn, fx.gold_verdicts(drawn))
 
 
 def proponent_categories(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -302,8 +387,9 @@ def _stated_sql() -> str:
         st AS ({' UNION ALL '.join(parts)}),
         tp AS (SELECT * FROM (VALUES {patterns}) t(relation, pattern)),
         cc AS (SELECT example_id, replace(pattern, '%s', subject) || ' ' || object || '.' AS text, subject, relation, object FROM st JOIN tp USING (relation)
-               UNION ALL SELECT {10**15} + ('0x' || substr(md5(text), 1, 12))::BIGINT, * FROM (SELECT DISTINCT 'Order' || l_orderkey || ' shipped ' || p_name || ' from ' || s_name || '.' AS text,
-               'Order' || l_orderkey AS subject, 'shipment' AS relation, s_name AS object FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey))"""
+               UNION ALL SELECT {10**15} + l_orderkey * {10**4} + row_number() OVER (PARTITION BY l_orderkey ORDER BY text), text, 'Order' || l_orderkey, 'shipment', object
+               FROM (SELECT DISTINCT l_orderkey, 'Order' || l_orderkey || ' shipped ' || p_name || ' from ' || s_name || '.' AS text, s_name AS object
+               FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey))"""
 
 
 def _facts_sql() -> str:
@@ -345,8 +431,8 @@ _CATEGORY_SQL = f""",
               WHEN s THEN 'subject_only' WHEN sp THEN 'subject_partial' ELSE 'none' END AS category, op OR hit AS target_match FROM fl)"""
 
 
-def _bucket_sql(digest: str) -> str:
-    return f"('0x' || substr({digest}, 1, 8))::BIGINT % (SELECT count(*) // 4 FROM cc)"
+def _bucket_sql(digest: str, table: str = "cc") -> str:
+    return f"('0x' || substr({digest}, 1, 8))::BIGINT % (SELECT count(*) // 4 FROM {table})"
 
 
 _POOL_SQL = f"""
@@ -368,7 +454,8 @@ QUERIES = {
         bm25_postings, bm25_doc_freq, bm25_top10, hashed_tfidf_vectors, dense_top10, sentence_windows, judge_scores, judge_errors, open_bm25_metrics,
         method_overlap, length_bias, random_rank, open_queries, dialogue_queries, facts_triples, facts_unambiguous, facts_frequency, facts_prompts,
         facts_target_cap, facts_sample, closed_corpus, closed_bm25_top10, closed_mrr_recall, distractor_pool, proponent_categories, category_by_decade,
-        category_by_decade_rollup, category_cube, target_match_share,
+        category_by_decade_rollup, category_cube, target_match_share, facts_cap_all_wrong, method_ratios, bm25_merge_join, selected_candidates,
+        prompt_sets, term_maps, bucketed_postings,
     )
 }
 
@@ -393,9 +480,10 @@ ORACLE_SQL = {
     + """, ls AS (SELECT example_id, len(ws) AS n_words, (len(l) - len(list_distinct(l)))::DOUBLE / nullif(len(l), 0) AS rp FROM
                  (SELECT example_id, ws, list_filter(string_split(text, chr(10)), lambda y: trim(y, ' ') <> '') AS l FROM wd JOIN cand USING (example_id)))
           SELECT method, round(avg(n_words), 6) AS mean_words, round(avg(coalesce(rp, 0)), 6) AS repeated_lines FROM mt JOIN ls USING (example_id) GROUP BY 1""",
-    "random_rank": f"""WITH {_DOCS}, dr AS (SELECT example_id FROM cand ORDER BY md5('1:' || example_id) LIMIT 500)
+    "random_rank": f"""WITH {_DOCS}, de AS (SELECT example_id, {_bucket_sql("md5('1:' || example_id)", "cand")} AS bucket FROM cand),
+        dr AS (SELECT DISTINCT query_id, {_bucket_sql("md5('1:' || query_id || ':' || i)", "cand")} AS bucket FROM qs, range(40) r(i))
         SELECT query_id, rank::INT AS rank, example_id FROM (SELECT query_id, example_id, row_number() OVER (PARTITION BY query_id
-        ORDER BY md5('1:' || query_id || ':' || example_id)) AS rank FROM qs, dr) WHERE rank <= 10""",
+        ORDER BY md5('1:' || query_id || ':' || example_id)) AS rank FROM dr JOIN de USING (bucket)) WHERE rank <= 10""",
     "open_queries": """SELECT item_id AS query_id, array_to_string(w[1 : len(w) // 2], ' ') AS prompt, array_to_string(w[len(w) // 2 + 1 :], ' ') AS target
         FROM (SELECT item_id, string_split(text, ' ') AS w FROM benchmark)""",
     "dialogue_queries": f"""SELECT conv_id, turn, md5(text) AS prompt_digest, md5(nt) AS target_digest, len({_words('text')})::BIGINT AS target_from FROM
@@ -406,6 +494,22 @@ ORACLE_SQL = {
     "facts_frequency": _FACTS + " SELECT fact_id, freq, decade FROM ff",
     "facts_prompts": _FACTS + " SELECT fact_id, replace(pattern, '%s', subject) AS prompt, object AS target FROM fu JOIN tp USING (relation)",
     "facts_target_cap": _FACTS + " SELECT fact_id, object FROM fc",
+    "facts_cap_all_wrong": _FACTS
+    + f""", gu AS (SELECT relation, object AS guess FROM (SELECT relation, object, row_number() OVER (PARTITION BY relation ORDER BY count(*) DESC, object) AS nth
+          FROM fu GROUP BY 1, 2) WHERE nth = 1), jo AS (SELECT fact_id, object, object = guess AS ok FROM fu JOIN gu USING (relation))
+        SELECT fact_id, object FROM jo WHERE ok UNION ALL (SELECT fact_id, object FROM jo WHERE NOT ok ORDER BY md5('{SEED}:' || fact_id), fact_id LIMIT {WRONG_CAP})""",
+    "method_ratios": _OPEN + _DENSE_SQL + _BOTH_SQL + _judge_sql("SELECT query_id, example_id FROM mt")
+    + """, mm AS (SELECT method, avg(coalesce(1.0 / fr, 0)) AS mrr FROM (SELECT ms.method, qs.query_id, min(CASE WHEN entails THEN rank END) AS fr
+          FROM qs CROSS JOIN (SELECT DISTINCT method FROM mt) ms LEFT JOIN mt ON mt.query_id = qs.query_id AND mt.method = ms.method
+          LEFT JOIN ve ON ve.query_id = mt.query_id AND ve.example_id = mt.example_id GROUP BY 1, 2) GROUP BY 1)
+        SELECT a.method, b.method AS other, round(a.mrr / b.mrr, 6) AS ratio FROM mm a JOIN mm b ON a.method <> b.method AND b.mrr > 0""",
+    "bm25_merge_join": _OPEN + _TOP_OUT + "top",
+    "selected_candidates": "SELECT doc_id, source, n_chars FROM documents WHERE n_chars BETWEEN 500 AND 20000 AND lang IS NOT DISTINCT FROM 'en'",
+    "prompt_sets": """SELECT kind, replace(array_to_string(w[1 : len(w) // 2], ' '), chr(10), ' ') AS prompt,
+        replace(array_to_string(w[len(w) // 2 + 1 :], ' '), chr(10), ' ') AS target FROM (SELECT string_split(text, ' ') AS w FROM benchmark), (VALUES ('json'), ('csv'), ('parquet'), ('text')) k(kind)""",
+    "term_maps": f"""SELECT item_id, count(*) AS n_terms, first(term ORDER BY n DESC, term) AS term, max(n) AS n FROM
+        (SELECT item_id, term, count(*) AS n FROM (SELECT item_id, unnest({_words('text')}) AS term FROM benchmark) GROUP BY 1, 2) GROUP BY 1""",
+    "bucketed_postings": _OPEN + " SELECT term, df FROM df",
     "facts_sample": _FACTS + " SELECT fact_id, decade FROM fs",
     "closed_corpus": "WITH " + _stated_sql() + " SELECT * FROM cc",
     "closed_bm25_top10": _CLOSED + _TOP_OUT + "top",
