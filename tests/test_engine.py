@@ -293,3 +293,76 @@ def test_table_functions_and_aggregates(spark):
     assert [r["token"] for r in spark.sql("SELECT p.token FROM VALUES ('Ab, c1') AS t(x), LATERAL token_positions(x) AS p").collect()] == ["ab", "c1"]
     row = spark.sql("SELECT vec_sum(v) AS s, outer_sum(v) AS o FROM VALUES (array(1D, 2D)), (array(3D, 4D)) AS t(v)").first()
     assert row["s"] == [4.0, 6.0] and row["o"] == [10.0, 14.0, 14.0, 20.0]
+
+
+def test_checkpoint_sum_is_the_weighted_sum_of_products():
+    from influence_engine.plans.closed_set import CheckpointSum
+
+    models = [TinyLM.start(20, 8, seed) for seed in (1, 2)]
+    batch = pa.RecordBatch.from_pydict({"tokens": [[2, 3, 4, 5], [6, 7, 2]], "target_from": [0, 1]})
+    inner = IndexSpec({"w1": ["w1"], "w2": ["w2"], "w3": ["w3"]}, TwoSided(11, 3, 3))
+    for unit_norm in (False, True):
+        own = CheckpointSum(models, [1.0, 0.25], unit_norm)
+        whole = np.concatenate(list(own.projected(batch, inner).values()), axis=1)
+        want = 0.0
+        for m, w in zip(models, (1.0, 0.25)):
+            g = np.concatenate(list(m.projected(batch, inner).values()), axis=1)
+            want += w * (g[0] @ g[1]) / (np.linalg.norm(g[0]) * np.linalg.norm(g[1]) if unit_norm else 1.0)
+        assert whole[0] @ whole[1] == pytest.approx(want)
+
+
+def test_long_texts_become_passages(spark):
+    from influence_engine.plans.closed_set import split_passages
+
+    words = [f"w{i}" for i in range(5000)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, "a short\ntext"), (3, ""), (4, None)], "example_id long, text string")
+    got = sorted(split_passages(docs).collect())
+    by_doc = {}
+    for r in got:
+        by_doc.setdefault(r["doc_id"], []).append(r["text"])
+    assert " ".join(by_doc[1]).split() == words and [len(t.split()) for t in by_doc[1]] == [2048, 2048, 904]
+    assert by_doc[2] == ["a short\ntext"] and by_doc[3] == [""] and by_doc[4] == [""]
+    assert len({r["example_id"] for r in got}) == len(got)
+
+
+def test_tail_patch_takes_the_next_training_step(spark):
+    from influence_engine.models import tiny_lm
+
+    corpus = spark.createDataFrame([(i, f"alpha beta gamma {'delta' if i % 2 else 'omega'}") for i in range(40)], "example_id long, text string")
+    vocab = tiny_lm.vocabulary(corpus, 16)
+    coded = tiny_lm.encode(corpus, vocab)
+    model = tiny_lm.fit(coded, 16, "s", rounds=3, rate=0.05)[-1]
+    assert model.rate == pytest.approx(0.05 * (1 - 0.9 * 2 / 3))
+    asked = coded.filter("example_id = 1").select(F.col("example_id").alias("query_id"), "tokens", F.lit(3).alias("target_from"))
+    ranked = spark.createDataFrame([(1, 1, 3), (1, 2, 4)], "query_id long, rank int, example_id long")
+    got = {r["example_id"]: r["delta"] for r in tiny_lm.tail_patch(ranked, coded, asked, model).collect()}
+    tokens = coded.filter("example_id = 3").first()["tokens"]
+    context, target, _ = tiny_lm.contexts([tokens], [0])
+    moved = model.step(context, target, model.rate, tiny_lm.DECAY)
+    want = np.exp(moved.log_probability([tokens], [3])[0]) - np.exp(model.log_probability([tokens], [3])[0])
+    assert got[3] == pytest.approx(want) and got[3] > got[4]
+
+
+def test_containment_equals_substring_search(spark):
+    texts = ["xx one two three four yy", "One two three four", "one two  three", "two", "", None, "prefixone two threesuffix"]
+    asked = ["one two three", "two", "e t", "three four", "absent words here now", "ne two thr"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "example_id long, text string")
+    queries = spark.createDataFrame(list(enumerate(asked)), "query_id long, text string")
+    got = {tuple(r) for r in judge.containment(docs, queries).collect()}
+    assert got == {(q, i) for q, a in enumerate(asked) for i, t in enumerate(texts) if t is not None and a in t}
+
+
+def test_query_tiles_give_the_same_ranking(spark):
+    rng = np.random.default_rng(5)
+    index = spark.createDataFrame([(i, rng.normal(size=6).round(3).tolist()) for i in range(60)], "example_id long, v array<double>")
+    queries = index.filter("example_id < 11")
+    whole = sorted(scoring.score_top_k(index, queries, 4).collect())
+    assert whole == sorted(scoring.score_top_k(index, queries, 4, tile_bytes=8 * 7 * 3).collect())
+
+
+def test_external_gradients_build_an_index(spark):
+    from influence_engine.models.probe import ExternalGradients
+
+    rows = spark.createDataFrame([(1, [1.0, 2.0, 3.0]), (2, [0.0, -1.0, 4.0])], "example_id long, grads array<double>")
+    index = gradients.build_index(rows, ExternalGradients("grads", 3), IndexSpec({"b": ["g"]}, Identity()))
+    assert {r["example_id"]: r["b"] for r in index.collect()} == {1: [1.0, 2.0, 3.0], 2: [0.0, -1.0, 4.0]}

@@ -30,6 +30,32 @@ NAMES = [
     "op_unpivot",
     "op_interval_join",
     "stream_running_topk",
+    "score_over_checkpoints",
+    "score_over_checkpoints_normalised",
+    "score_subsampled",
+    "score_x_plain_mixed_dot",
+    "moment_moving_average",
+    "moment_factored",
+    "random_rank",
+    "facts_frequency",
+    "facts_cap_all_wrong",
+    "closed_corpus",
+    "method_ratios",
+    "selected_candidates",
+    "prompt_sets",
+    "term_maps",
+    "bucketed_postings",
+    "bm25_merge_join",
+    "op_order_years",
+    "op_bucket_ts",
+    "op_ranking_sink",
+    "op_sql_surface",
+    "op_sort_limit",
+    "stream_sliding_windows",
+    "stream_sessions",
+    "stream_static_join",
+    "stream_followed_by",
+    "stream_doc_freq",
 ]
 
 
