@@ -76,22 +76,28 @@ class Codebooks:
         a, b = self._cut(x)
         return _nearest(a, self.halves[0]), _nearest(b, self.halves[1])
 
-    def traverse(self, q: np.ndarray, sizes: np.ndarray, wanted: float) -> list[tuple[int, int]]:
-        """Pairs in the order of the summed distance (the negative inner product), from a heap."""
+    def traverse(self, q: np.ndarray, sizes: list[list[int]], wanted: float) -> list[tuple[int, int]]:
+        """Pairs in the order of the summed distance (the negative inner product), from a heap.
+
+        The heap holds the next pair of each first centroid that has been opened; the following
+        first centroid is opened when its predecessor gives its first pair.
+        """
         far = [-(h @ part) for h, part in zip(self.halves, (q[: self.split], q[self.split :]))]
-        order = [np.argsort(f, kind="stable") for f in far]
-        rank = [f[o].tolist() for f, o in zip(far, order)]
-        heap, seen, out, held = [(rank[0][0] + rank[1][0], 0, 0)], {(0, 0)}, [], 0
+        first, second = (np.argsort(f, kind="stable").tolist() for f in far)
+        a, b = far[0][first].tolist(), far[1][second].tolist()
+        heap, out, held = [(a[0] + b[0], 0, 0)], [], 0
         while heap and held < wanted:
-            _, i, j = heapq.heappop(heap)
-            cell = (int(order[0][i]), int(order[1][j]))
-            if sizes[cell]:
-                out.append(cell)
-                held += int(sizes[cell])
-            for a, b in ((i + 1, j), (i, j + 1)):
-                if a < len(rank[0]) and b < len(rank[1]) and (a, b) not in seen:
-                    seen.add((a, b))
-                    heapq.heappush(heap, (rank[0][a] + rank[1][b], a, b))
+            _, i, j = heap[0]
+            n = sizes[first[i]][second[j]]
+            if n:
+                out.append((first[i], second[j]))
+                held += n
+            if j + 1 < len(b):
+                heapq.heapreplace(heap, (a[i] + b[j + 1], i, j + 1))
+            else:
+                heapq.heappop(heap)
+            if j == 0 and i + 1 < len(a):
+                heapq.heappush(heap, (a[i + 1] + b[0], i + 1, 0))
         return out
 
 
@@ -123,10 +129,10 @@ def _needed(entries: DataFrame, books: Codebooks, sizes: np.ndarray, ids: np.nda
     wanted: dict[int, list] = {}
     for r in found.filter(F.col("nth") <= k).collect():
         wanted.setdefault(r["query_id"], []).append((r["c1"], r["c2"]))
-    reached = []
+    reached, listed = [], sizes.tolist()
     for i, v in zip(ids.tolist(), q):
         upto, held = {}, 0
-        for cell in books.traverse(v, sizes, np.inf):
+        for cell in books.traverse(v, listed, np.inf):
             held += int(sizes[cell])
             upto[cell] = held
         reached += [upto[cell] for cell in wanted.get(i, [])]
@@ -233,12 +239,14 @@ def search(
         sizes[r["c1"], r["c2"]] = r["count"]
     wanted = _needed(entries, books, sizes, drawn["vec_id"].to_numpy()[:CALIBRATION], sample[:CALIBRATION], k, recall)
 
+    listed = sizes.tolist()
+
     def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             of, c1s, lists = [], [], []
             for i, v in enumerate(to_matrix(b.column("v"))):
                 by_first: dict[int, list[int]] = {}
-                for c1, c2 in shared.value.traverse(v, sizes, wanted):
+                for c1, c2 in shared.value.traverse(v, listed, wanted):
                     by_first.setdefault(c1, []).append(c2)
                 of += [i] * len(by_first)
                 c1s += by_first
