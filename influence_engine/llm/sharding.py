@@ -7,7 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ._runtime import bounded_broadcast, documents
+from ._runtime import bounded_broadcast, documents, materialise
 
 SHARDS = 8
 #: Ranges of doc_id in which slots are counted at once.
@@ -36,7 +36,8 @@ def assign_shards(docs: DataFrame, shards: int = SHARDS, id_col: str = "doc_id",
     Size is the text's UTF-8 bytes plus 1; null text has no bytes. Slots count a shard's rows
     in ascending id from 0 without gaps, repeated ids included (equal ids in any order). A null
     id is treated as key -1 and comes first. Slots are counted in ranges of the id, so no task
-    holds a whole shard. An empty table gives no rows; other columns are ignored.
+    holds a whole shard; an id at a quantile, and the null id, has a range of its own, which is
+    counted in parts by checksum. An empty table gives no rows; other columns are ignored.
     Returns doc_id, size, text_crc32, law, shard, slot, grown_shard.
     """
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
@@ -45,30 +46,34 @@ def assign_shards(docs: DataFrame, shards: int = SHARDS, id_col: str = "doc_id",
         (F.octet_length(text) + 1).cast("long").alias("size"),
         F.crc32(text).alias("text_crc32"),
     )
-    cuts = np.array(
+    cuts = np.unique(
         docs.select(F.col(id_col).cast("double").alias("k")).approxQuantile(
             "k", [i / RANGES for i in range(1, RANGES)], 0.25 / RANGES
-        ),
-        dtype=np.float64,
-    )
+        )
+    ).astype(np.float64)
 
     @F.pandas_udf("shard int, grown_shard int, range int")
     def placed(ids: pd.Series) -> pd.DataFrame:
         keys = ids.fillna(-1).astype(np.int64).to_numpy()
         spot = np.searchsorted(cuts, keys.astype(np.float64), side="left")
+        # odd ranges hold a single id; whole numbers are exact as doubles below 2 ** 53
+        single = np.r_[cuts, np.nan][spot] == keys if len(cuts) else np.zeros(len(keys), dtype=bool)
+        spot = 2 * spot + (single & (np.abs(keys) < 1 << 53))
         spot[ids.isna().to_numpy()] = -1
         return pd.DataFrame(
             {"shard": jump_shard(keys, shards), "grown_shard": jump_shard(keys, shards + 1), "range": spot}
         )
 
-    dealt = rows.withColumn("at", placed("doc_id")).select("*", "at.*").drop("at")
-    tallies = dealt.groupBy("shard", "range").agg(F.count(F.lit(1)).alias("n"))
-    before = Window.partitionBy("shard").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    bases = tallies.select("shard", "range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
-    nth = F.row_number().over(Window.partitionBy("shard", "range").orderBy("doc_id", "text_crc32", "size"))
+    part = F.when(F.col("range") % 2 != 0, F.shiftright("text_crc32", 24)).otherwise(0).cast("int")
+    dealt = materialise(rows.withColumn("at", placed("doc_id")).select("*", "at.*").drop("at").withColumn("part", part), "op7-dealt")
+    tallies = dealt.groupBy("shard", "range", "part").agg(F.count(F.lit(1)).alias("n"))
+    before = Window.partitionBy("shard").orderBy("range", "part").rowsBetween(Window.unboundedPreceding, -1)
+    bases = tallies.select("shard", "range", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    bases = materialise(bases, "op7-bases")
+    nth = F.row_number().over(Window.partitionBy("shard", "range", "part").orderBy("doc_id", "text_crc32", "size"))
     return (
         dealt.withColumn("nth", nth)
-        .join(bounded_broadcast(bases, rows=shards * (RANGES + 1)), ["shard", "range"])
+        .join(bounded_broadcast(bases), ["shard", "range", "part"])
         .select(
             "doc_id",
             "size",

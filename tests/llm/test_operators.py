@@ -435,3 +435,17 @@ def test_numerals_are_no_letters(spark):
     rows += [(i, "plain words of a text", "en") if i % 2 else (i, "noch ein kurzer Satz", "de") for i in range(10, 40)]
     got = {r["doc_id"]: r["lang_pred"] for r in language_id.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
     assert got.pop(1) == got.pop(5) == "und" and set(got.values()) == {"en", "de"}
+
+
+def test_slots_of_repeated_and_null_ids(spark):
+    rows = [(7, f"text {i}") for i in range(300)] + [(None, f"null {i}") for i in range(300)] + [(i, f"own {i}") for i in range(400)]
+    got = sharding.assign_shards(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert len(got) == len(rows)
+    by_shard = defaultdict(list)
+    for r in got:
+        by_shard[r["shard"]].append((r["slot"], -1 if r["doc_id"] is None else r["doc_id"], r["doc_id"] is not None))
+    for found in by_shard.values():
+        found.sort()
+        assert [x[0] for x in found] == list(range(len(found)))
+        order = [(known, i) for _, i, known in found]
+        assert order == sorted(order)
