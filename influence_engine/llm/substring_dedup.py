@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import exchange, spans
-from ._runtime import documents, materialise, release_memory
+from ._runtime import discard, documents, release_memory, work_path
 
 WINDOW = 50
 SHORTEST = 13
@@ -31,6 +31,8 @@ SHORTEST = 13
 BLOCK_BYTES = 4 << 20
 #: Bits of keys that only prune.
 PRUNE_BITS = 44
+#: Keys that an owner holds, about.
+PER_OWNER = 250_000
 #: Owners of keys, as a power of two, at least.
 LEAST_OWNER_BITS = 6
 _NO_ID = np.iinfo(np.int64).max
@@ -252,6 +254,13 @@ def _advance(window: int, now: tuple, then: tuple | None):
     return run
 
 
+def _written(table: DataFrame, level: int) -> tuple[str, DataFrame]:
+    """A level's rows in folders by kind, so that what is spent can go."""
+    path = work_path(table.sparkSession, f"op4-level{level}")
+    table.write.partitionBy("kind").parquet(path)
+    return path, table.sparkSession.read.schema(table.schema).parquet(path)
+
+
 def remove_repeats(
     docs: DataFrame,
     window: int = WINDOW,
@@ -272,20 +281,24 @@ def remove_repeats(
         F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("t")
     )
     size = rows.agg(F.sum(F.octet_length("t").cast("long"))).first()[0] or 0
-    owner_bits = exchange.owner_bits_for(size // 16, least=min(prune_bits, LEAST_OWNER_BITS))
+    owner_bits = exchange.owner_bits_for(size // 16, PER_OWNER, least=min(prune_bits, LEAST_OWNER_BITS))
     lengths = levels_for(window, shortest)
     steps = [(n, owner_bits, 64 if n == window else prune_bits, n == window) for n in lengths]
-    table = materialise(rows.mapInArrow(_open_blocks(window, *steps[0]), _DDL), "op4-level0")
+    path, table = _written(rows.mapInArrow(_open_blocks(window, *steps[0]), _DDL), 0)
     done = table.filter("kind = 'done'")
     for at, now in enumerate(steps):
         then = steps[at + 1] if at + 1 < len(steps) else None
+        spent = path
         texts = table.filter("kind = 'text'").select("part", "doc_id", "text", "alive")
         table = (
             texts.groupBy("part")
             .cogroup(_bitmaps(table, now[3]).groupBy("part"))
             .applyInArrow(_advance(window, now, then), _DDL)
         )
-        table = materialise(table, f"op4-level{at + 1}")
+        path, table = _written(table, at + 1)
+        # the next level holds the texts that are still open, and finished rows are kept apart
+        for kind in ("text", "packet"):
+            discard(docs.sparkSession, f"{spent}/kind={kind}")
         done = done.unionByName(table.filter("kind = 'done'"))
     return done.select("doc_id", "n_words", "n_removed", "kept_sha256")
 
