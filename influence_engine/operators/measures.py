@@ -38,8 +38,8 @@ def mrr_recall(ranked: DataFrame, verdicts: DataFrame, queries: DataFrame, k: in
 def tail_patch(deltas: DataFrame, k: int = 10, by: list[str] | None = None) -> DataFrame:
     """Mean over a query's top k, then over queries."""
     by = by or []
-    per_query = deltas.filter(F.col("rank") <= k).groupBy(*by, "query_id").agg(F.avg("delta").alias("d"))
-    return per_query.groupBy(*by).agg(F.avg("d").alias("tail_patch")) if by else per_query.agg(F.avg("d").alias("tail_patch"))
+    per_query = deltas.filter(F.col("rank") <= k).groupBy(*by, "query_id").agg(F.avg("delta").alias("mean_delta"))
+    return per_query.groupBy(*by).agg(F.avg("mean_delta").alias("tail_patch")) if by else per_query.agg(F.avg("mean_delta").alias("tail_patch"))
 
 
 def tail_patch_by_k(deltas: DataFrame, by: list[str] | None = None) -> DataFrame:
