@@ -2,15 +2,24 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Observation
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.textops import tokenise
 from .gradients import ID
-from .scoring import score_top_k, top_k
+from .scoring import keep_best, score_top_k, top_k
 from .work import bounded_broadcast, materialise
 
 K1, B = 1.2, 0.75
+#: Query terms (with repeats over queries) that go to the tasks; more are joined.
+TERM_ROWS = 200_000
+#: Cells of a matrix that a task holds when it scores a stretch of candidates.
+CELLS = 4_000_000
 
 
 def idf(n: Column, df: Column) -> Column:
@@ -52,17 +61,85 @@ def join_postings(table: DataFrame, terms: DataFrame, strategy: str | None = Non
 def bm25(candidates: DataFrame, queries: DataFrame, k: int = 10, k1: float = K1, b: float = B, strategy: str | None = None) -> DataFrame:
     """(query_id, rank, example_id, score): ranks on 8 decimals, then by id.
 
-    Texts are cut into words once: that pass keeps the words that queries hold and counts the
-    candidates and their lengths on the way.
+    Query terms within a counted bound go to the tasks: one pass over the texts keeps each
+    candidate's own query terms, a second scores them and sends k rows a query from each task,
+    so no pair of a query and a candidate is shuffled. Beyond the bound, or with a join strategy,
+    postings are joined with the terms.
     """
     terms = materialise(query_terms(queries), "bm25-terms")
+    if strategy or terms.count() > TERM_ROWS:
+        return _bm25_joined(candidates, terms, k, k1, b, strategy)
+    vocabulary = pa.array(sorted(r["term"] for r in terms.select("term").distinct().collect()), pa.string())
+    held = materialise(_words(candidates).mapInArrow(_own_terms(vocabulary), f"{ID} long, length long, codes array<int>, tfs array<int>"), "bm25-held")
+    n, mean_length = held.agg(F.count(F.lit(1)), F.avg("length")).first()
+    mean_length = mean_length or 1.0
+    df = np.zeros(len(vocabulary))
+    for r in held.select(F.explode("codes").alias("code")).groupBy("code").count().collect():
+        df[r["code"]] = r["count"]
+    weights, place = {}, {t: i for i, t in enumerate(vocabulary.to_pylist())}
+    for r in terms.collect():
+        code = place[r["term"]]
+        weights.setdefault(r["query_id"], []).append((code, r["qtf"] * float(np.log(1 + (n - df[code] + 0.5) / (df[code] + 0.5)))))
+    asked = sorted((q, np.array([c for c, _ in own]), np.array([w for _, w in own])) for q, own in weights.items())
+    shared = candidates.sparkSession.sparkContext.broadcast((asked, len(vocabulary)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        asked, width = shared.value
+        ids = np.array([q for q, _, _ in asked], dtype=np.int64)
+        kept_score, kept_id = np.empty((len(ids), 0)), np.empty((len(ids), 0), dtype=np.int64)
+        most = max(1, CELLS // max(1, width, len(ids)))
+        for whole in batches:
+            for at in range(0, whole.num_rows, most):
+                batch = whole.slice(at, most)
+                codes, tf = (batch.column(i).flatten().to_numpy() for i in (2, 3))
+                own = np.repeat(np.arange(batch.num_rows), pc.list_value_length(batch.column(2)).to_numpy())
+                length = batch.column(1).to_numpy()[own]
+                part = np.zeros((width, batch.num_rows))
+                part[codes, own] = tf / (tf + k1 * (1 - b + b * length / mean_length))
+                s = np.stack([w @ part[c] for _, c, w in asked]) if asked else np.empty((0, batch.num_rows))
+                # idf is positive, so a score of 0 has no word in common
+                s = np.where(s > 0, np.round(s, 8), np.nan)
+                kept_score, kept_id = keep_best(kept_score, kept_id, s, batch.column(0).to_numpy(), k)
+        found = ~np.isnan(kept_score)
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(np.broadcast_to(ids[:, None], found.shape)[found]), pa.array(kept_id[found]), pa.array(kept_score[found])],
+            names=["query_id", ID, "score"],
+        )
+
+    return top_k(held.filter(F.size("codes") > 0).mapInArrow(run, f"query_id long, {ID} long, score double"), k)
+
+
+def _words(candidates: DataFrame) -> DataFrame:
+    """(example_id, words, length)."""
+    return candidates.select(ID, tokenise(F.col("text")).alias("words")).withColumn("length", F.size("words").cast("long"))
+
+
+def _own_terms(vocabulary: pa.Array):
+    """Kernel: the terms of a vocabulary that each candidate holds, by number, with their counts; all candidates stay."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            words = batch.column(batch.schema.get_field_index("words"))
+            code = pc.index_in(words.flatten().cast(pa.string()), value_set=vocabulary)
+            own = np.repeat(np.arange(batch.num_rows), pc.list_value_length(words).to_numpy())
+            hit = pc.is_valid(code).to_numpy(zero_copy_only=False)
+            both, tf = np.unique(own[hit] * len(vocabulary) + code.drop_null().to_numpy(), return_counts=True)
+            width = max(1, len(vocabulary))
+            ends = pa.array(np.searchsorted(both // width, np.arange(batch.num_rows + 1)).astype(np.int32))
+            ids, lengths = (batch.column(batch.schema.get_field_index(c)) for c in (ID, "length"))
+            lists = [pa.ListArray.from_arrays(ends, pa.array(x.astype(np.int32))) for x in (both % width, tf)]
+            yield pa.RecordBatch.from_arrays([ids, lengths, *lists], names=[ID, "length", "codes", "tfs"])
+
+    return run
+
+
+def _bm25_joined(candidates: DataFrame, terms: DataFrame, k: int, k1: float, b: float, strategy: str | None) -> DataFrame:
+    """The same by joins of postings and written query terms."""
     asked = bounded_broadcast(terms.select("term").distinct())
-    seen = Observation()
-    words = candidates.select(ID, tokenise(F.col("text")).alias("words")).withColumn("length", F.size("words").cast("long"))
-    words = words.observe(seen, F.count(F.lit(1)).alias("n"), F.avg("length").alias("mean_length"))
-    hits = words.select(ID, "length", F.explode("words").alias("term")).join(asked, "term", "left_semi")
+    hits = _words(candidates).select(ID, "length", F.explode("words").alias("term")).join(asked, "term", "left_semi")
     hits = materialise(hits.groupBy("term", ID, "length").agg(F.count(F.lit(1)).alias("tf")), "bm25-hits")
-    n, mean_length = seen.get["n"], float(seen.get["mean_length"] or 1.0)
+    n, mean_length = corpus_size(candidates).first()
+    mean_length = mean_length or 1.0
     weighted = join_postings(hits, bounded_broadcast(terms.join(doc_freq(hits), "term")), strategy)
     part = F.col("qtf") * idf(F.lit(n), F.col("df")) * F.col("tf") / (F.col("tf") + k1 * (1 - b + b * F.col("length") / F.lit(mean_length)))
     scores = weighted.groupBy("query_id", ID).agg(F.round(F.sum(part), 8).alias("score"))

@@ -33,6 +33,27 @@ def _norms(parts: list[np.ndarray], folded: list[np.ndarray]) -> np.ndarray:
     return np.sqrt(sum((a * b).sum(axis=1) for a, b in zip(parts, folded)))
 
 
+def keep_best(kept_score: np.ndarray, kept_id: np.ndarray, s: np.ndarray, ids: np.ndarray, k: int, best: float = 1.0) -> tuple[np.ndarray, np.ndarray]:
+    """Each query's k best of what it kept and of a batch's scores s (query by candidate); ties to the smaller id, NaN last.
+
+    The batch is cut to k a query without a sort: all before the k-th value, and of those equal
+    to it the first by id.
+    """
+    order = np.argsort(ids, kind="stable")
+    ids, s = ids[order], s[:, order]
+    if s.shape[1] > k:
+        key = np.where(np.isnan(s), np.inf, -best * s)
+        bound = np.partition(key, k - 1, axis=1)[:, k - 1 : k]
+        before, level = key < bound, key == bound
+        take = before | (level & (np.cumsum(level, axis=1) <= k - before.sum(axis=1, keepdims=True)))
+        at = np.nonzero(take)[1].reshape(len(s), k)
+        ids, s = ids[at], np.take_along_axis(s, at, axis=1)
+    kept_score = np.hstack([kept_score, s])
+    kept_id = np.hstack([kept_id, np.broadcast_to(ids, s.shape)])
+    order = np.lexsort((kept_id, np.where(np.isnan(kept_score), np.inf, -best * kept_score)), axis=1)[:, :k]
+    return np.take_along_axis(kept_score, order, axis=1), np.take_along_axis(kept_id, order, axis=1)
+
+
 def score_top_k(
     index: DataFrame,
     queries: DataFrame,
@@ -84,17 +105,7 @@ def score_top_k(
                 if factor:
                     s = s * b.column(b.schema.get_field_index(factor)).to_numpy()[None, :]
                 s = np.round(s, SCORE_DIGITS)
-                kept_score = np.hstack([kept_score, s])
-                kept_id = np.hstack([kept_id, np.broadcast_to(b.column(0).to_numpy(), s.shape)])
-                key = np.where(np.isnan(kept_score), np.inf, -best * kept_score)
-                if key.shape[1] > 4 * k:
-                    # what lies beyond the k-th value of a row cannot be among its k best
-                    bound = np.partition(key, k - 1, axis=1)[:, k - 1 : k]
-                    near = (key <= bound).any(axis=0)
-                    kept_score, kept_id, key = kept_score[:, near], kept_id[:, near], key[:, near]
-                order = np.lexsort((kept_id, key), axis=1)[:, :k]
-                kept_score = np.take_along_axis(kept_score, order, axis=1)
-                kept_id = np.take_along_axis(kept_id, order, axis=1)
+                kept_score, kept_id = keep_best(kept_score, kept_id, s, b.column(0).to_numpy(), k, best)
             n = kept_id.shape[1]
             flat = kept_score.ravel()
             yield pa.RecordBatch.from_arrays(

@@ -145,8 +145,13 @@ def unambiguous(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fx.drop_ambiguous(fx.triples(spark, sf_dir))
 
 
+def _known(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The unambiguous facts, written once for a session."""
+    return written(spark, (sf_dir, "unambiguous"), lambda: unambiguous(spark, sf_dir))
+
+
 def with_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fx.frequency(unambiguous(spark, sf_dir), fx.closed_corpus(spark, sf_dir))
+    return fx.frequency(_known(spark, sf_dir), corpus(spark, sf_dir))
 
 
 def corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -158,7 +163,7 @@ def sampled(spark: SparkSession, sf_dir: str, per_decade: int = PER_DECADE) -> D
     """The sampled facts, written once for a session."""
 
     def build() -> DataFrame:
-        return fx.sample(fx.frequency(unambiguous(spark, sf_dir), corpus(spark, sf_dir)), per_decade, SEED, TARGET_CAP)
+        return fx.sample(with_frequency(spark, sf_dir), per_decade, SEED, TARGET_CAP)
 
     return written(spark, (sf_dir, per_decade, "facts"), build)
 

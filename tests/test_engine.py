@@ -12,7 +12,7 @@ from influence_engine.functions.vectors import register
 from influence_engine.models import tiny_lm
 from influence_engine.models.probe import LogisticProbe, SoftmaxProbe
 from influence_engine.models.tiny_lm import BLOCKS, TinyLM, contexts
-from influence_engine.operators import curvature, gradients, judge, measures, relational, scoring
+from influence_engine.operators import curvature, gradients, judge, lexical, measures, relational, scoring
 from influence_engine.operators.gradients import ID, IndexSpec
 from influence_engine.operators.presets import PRESETS, Study
 from influence_engine.operators.projection import Identity, OneSided, QueryBasis, TwoSided
@@ -366,3 +366,34 @@ def test_external_gradients_build_an_index(spark):
     rows = spark.createDataFrame([(1, [1.0, 2.0, 3.0]), (2, [0.0, -1.0, 4.0])], "example_id long, grads array<double>")
     index = gradients.build_index(rows, ExternalGradients("grads", 3), IndexSpec({"b": ["g"]}, Identity()))
     assert {r["example_id"]: r["b"] for r in index.collect()} == {1: [1.0, 2.0, 3.0], 2: [0.0, -1.0, 4.0]}
+
+
+@pytest.mark.parametrize("best", [1.0, -1.0])
+def test_kept_scores_equal_a_full_sort(best):
+    rng = np.random.default_rng(4)
+    s, ids = rng.integers(0, 4, (5, 90)).astype(float), rng.permutation(90).astype(np.int64)
+    s[rng.random(s.shape) < 0.3] = np.nan
+    s[4] = np.nan
+    kept = np.empty((5, 0)), np.empty((5, 0), dtype=np.int64)
+    for at in range(0, 90, 30):
+        kept = scoring.keep_best(*kept, s[:, at : at + 30], ids[at : at + 30], 7, best)
+    for row, score, found in zip(s, *kept):
+        order = sorted(range(90), key=lambda i: (np.inf if np.isnan(row[i]) else -best * row[i], ids[i]))[:7]
+        assert found.tolist() == ids[order].tolist()
+        assert np.array_equal(score, row[order], equal_nan=True)
+
+
+def test_bm25_by_tasks_equals_joined(spark, monkeypatch):
+    texts = ["", None, "a b c", "a a a b", "c c d", "x", "b c " * 50, "a b c", "A, b; C"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "example_id long, text string")
+    asked = spark.createDataFrame([(1, "a b"), (2, "c c x"), (3, "nowhere"), (4, None)], "query_id long, text string")
+    rows = [tuple(r) for r in lexical.bm25(docs, asked, 3).orderBy("query_id", "rank").collect()]
+    monkeypatch.setattr(lexical, "TERM_ROWS", 0)
+    assert rows == [tuple(r) for r in lexical.bm25(docs, asked, 3).orderBy("query_id", "rank").collect()]
+    assert {r[0] for r in rows} == {1, 2}
+    none = docs.filter("example_id < 0")
+    assert lexical.bm25(none, asked, 3).count() == 0
+    monkeypatch.undo()
+    assert lexical.bm25(none, asked, 3).count() == 0
+    assert lexical.bm25(docs, asked.filter("query_id = 3"), 3).count() == 0
+    assert lexical.bm25(docs, asked.filter("query_id = 4"), 3).count() == 0
