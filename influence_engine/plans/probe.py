@@ -8,9 +8,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..models.probe import SoftmaxProbe, matrix
-from ..operators import curvature, gradients, scoring
+from ..operators import curvature, gradients, measures, scoring
 from ..operators.gradients import ID, IndexSpec
-from ..operators.measures import fidelity
 from ..operators.presets import GRID, PRESETS, Study
 from ..operators.projection import Identity, OneSided, QueryBasis, TwoSided
 from ..sources import catalog
@@ -467,18 +466,42 @@ def projection_fidelity(spark: SparkSession, sf_dir: str) -> DataFrame:
     candidates = _candidates(spark, sf_dir)
     probe = _probe(candidates)
     own = gradients.diagonal_moment(candidates, probe)
-    first = _queries(candidates).toArrow().combine_chunks().to_batches()[0]
-    basis = QueryBasis({"w": gradients.correct(probe.gradients(first)["w"], own["w"], EPS)}, 16)
+    shared = spark.sparkContext.broadcast((probe, own["w"]))
+
+    def outer(batch: pa.RecordBatch) -> dict[str, np.ndarray]:
+        model, v = shared.value
+        g = gradients.correct(model.gradients(batch)["w"], v, EPS).reshape(batch.num_rows, -1)
+        return {"w": g.T @ g}
+
+    square = gradients.sum_arrays(_queries(candidates), probe.columns, _sliced(outer)).get("w", np.zeros(own["w"].size**2))
+    # any root of the sum has the singular directions of the query gradients
+    size, turn = np.linalg.eigh(square.reshape(own["w"].size, -1))
+    held = size > 1e-12 * max(float(size.max()), 1e-300)
+    basis = QueryBasis({"w": np.sqrt(size[held])[:, None] * turn.T[held]}, 16)
     projections = {"exact": Identity(), "two_sided_16": TwoSided(SEED, 4, 4), "two_sided_64": TwoSided(SEED, 8, 8), "one_sided_16": OneSided(SEED, 16), "query_basis_16": basis}
-    scores = {}
-    for name, p in projections.items():
-        index = gradients.build_index(candidates, probe, _spec(p, moment=own))
-        scores[name] = scoring.all_scores(index, _queries(index), unit_norm=True)
-    out = None
-    for name in list(projections)[1:]:
-        part = fidelity(scores[name], scores["exact"]).withColumn("projection", F.lit(name))
-        out = part if out is None else out.unionByName(part)
-    return out
+    specs = spark.sparkContext.broadcast((probe, {name: _spec(p, moment=own) for name, p in projections.items()}))
+
+    def sums(batch: pa.RecordBatch) -> dict[str, np.ndarray]:
+        model, by_name = specs.value
+        vectors = {name: gradients.project_batch(model, batch, spec)["b0"] for name, spec in by_name.items()}
+        return measures.cosine_sums(vectors, batch.column(0).to_numpy() % EVERY == 0, "exact")
+
+    found = gradients.sum_arrays(candidates, probe.columns, _sliced(sums))
+    rows = [(*measures.fidelity_of_sums(found, name), name) for name in list(projections)[1:]]
+    return spark.createDataFrame(rows, "correlation double, n_pairs long, projection string")
+
+
+def _sliced(parts, rows: int = 2000):
+    """The sums of `parts` over slices of a batch, as whole gradients are wide."""
+
+    def run(batch: pa.RecordBatch) -> dict[str, np.ndarray]:
+        total: dict[str, np.ndarray] = {}
+        for at in range(0, batch.num_rows, rows):
+            for name, x in parts(batch.slice(at, rows)).items():
+                total[name] = total.get(name, 0) + x
+        return total
+
+    return run
 
 
 _PATCH_SQL = (
